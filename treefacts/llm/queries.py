@@ -7,13 +7,31 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treefacts.llm import common, html_text, langid, quality, tokens, toxicity, warc
+from treefacts.llm import common, decontaminate, html_text, jaccard, langid, lines, mixing, quality, tokens, toxicity, warc
 
 
 def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.measure(common.read(spark, sf_dir, "documents"))
 
 
+def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = common.read(spark, sf_dir, "documents").select("doc_id", "source")
+    names = {f"mix_{x}": x for x in ("position", "block", "slot", "release", "deadline", "phase")}
+    return mixing.mix(docs).withColumnsRenamed(names)
+
+
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(common.read(spark, sf_dir, "documents"), common.read(spark, sf_dir, "benchmark"))
+
+
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lines.dedup(common.read(spark, sf_dir, "documents"))
+
+
+def op8_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.join(common.read(spark, sf_dir, "documents"), words=3, percent=90)
+
+
 def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = warc.round_trip(common.read(spark, sf_dir, "pages"))
     return found.select(warc.page_id_of("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", warc.page_id_of("refers_to").alias("refers_to"))
@@ -45,7 +63,18 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality": op1_quality, "op4_warc": op4_warc, "op7_html_text": op7_html_text, "op6_langid": op6_langid, "op9_token_files": op9_token_files, "op10_toxicity": op10_toxicity}
+    return {
+        "op1_quality": op1_quality,
+        "op2_mixing": op2_mixing,
+        "op3_decontaminate": op3_decontaminate,
+        "op4_warc": op4_warc,
+        "op5_line_dedup": op5_line_dedup,
+        "op6_langid": op6_langid,
+        "op7_html_text": op7_html_text,
+        "op8_jaccard": op8_jaccard,
+        "op9_token_files": op9_token_files,
+        "op10_toxicity": op10_toxicity,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
