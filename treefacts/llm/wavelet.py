@@ -107,7 +107,8 @@ class WaveletMatrix:
         """How often a token occurs in [start, end)."""
         if token >> len(self.planes):
             return 0
-        low, high = self._range(token, start, self.n if end is None else end)
+        end = self.n if end is None else min(end, self.n)
+        low, high = self._range(token, min(start, end), end)
         return high - low
 
     rank = count
