@@ -36,6 +36,12 @@ class Options:
 KEYS = ["doc_id", "okey"]
 
 
+@dataclass(frozen=True)
+class Branch:
+    at: Context
+    held: tuple[int, DataFrame] | None
+
+
 def union_all(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
@@ -76,52 +82,62 @@ class Evaluator:
             out[self.depth(c)].add(c)
         return out
 
-    # contexts: chains and predicates, with the records (doc_id, okey) of the last condition, or None where there was none
+    # contexts: branches of chains and predicates, each with the records (doc_id, okey) of one depth at or above them
+    # that the last condition left, or None where there was none
 
-    def restrict(self, df: DataFrame, column: str, held: dict[int, DataFrame] | None) -> DataFrame:
-        """Rows whose key lies in or below records that are held, by their depth."""
+    def restrict(self, df: DataFrame, column: str, held: tuple[int, DataFrame] | None) -> DataFrame:
+        """Rows whose key lies in or below the records held."""
         if held is None:
             return df
-        parts = []
-        for d, k in sorted(held.items()):
-            cut = df.withColumn("_cut", keys.cut(F.col(column), d)).where(F.length(column) >= d * keys.WIDTH)
-            parts.append(cut.join(k.select("doc_id", F.col("okey").alias("_cut")), ["doc_id", "_cut"], "left_semi").drop("_cut"))
-        return parts[0] if len(parts) == 1 else union_all(parts).distinct()
-
-    def run(self, steps: tuple[Step, ...], at: Context, held: dict[int, DataFrame] | None) -> tuple[Context, dict[int, DataFrame] | None]:
-        for k, step in enumerate(steps):
-            came_from = at
-            at = sp.advance(self.rules, at, step)
-            if step.axis == "text" and self.options.text_mode == "strict":
-                at = Context(at.chains, frozenset(p for p in at.preds if p[1] == model.TEXT))
-            if step.axis == "parent":
-                held = self.parents(came_from, at, held)
-            if step.condition is not None:
-                chains = frozenset(c for c in at.chains if sp.possible(self.rules, c, step.condition))
-                at = Context(chains, at.preds if isinstance(step.condition, Not) else frozenset())
-                new = {}
-                for d, own in sorted(self.by_depth(chains).items()):
-                    found = self.satisfying(step.condition, d, own)
-                    # a restriction by records of the same or a higher level still holds
-                    new[d] = self.restrict(found, "okey", None if held is None else {x: y for x, y in held.items() if x <= d}) if held is not None else found
-                held = new
-            elif step.axis == "text" and k > 0 and not came_from.chains and came_from.preds:
-                at = Context(preds=frozenset(p for p in came_from.preds if not p[1].startswith("@")))
-            if not at:
-                return Context(), held
-        return at, held
-
-    def parents(self, before: Context, after: Context, held: dict[int, DataFrame] | None) -> dict[int, DataFrame]:
-        """Records that have a node of the context before as a child."""
+        d, records = held
+        cut = df.withColumn("_cut", keys.cut(F.col(column), d)).where(F.length(column) >= d * keys.WIDTH)
+        return cut.join(records.select("doc_id", F.col("okey").alias("_cut")), ["doc_id", "_cut"], "left_semi").drop("_cut")
+
+    def run(self, steps: tuple[Step, ...], start: Context) -> list[Branch]:
+        branches = [Branch(start, None)]
+        for step in steps:
+            branches = [new for b in branches for new in self.after(step, b)]
+        return branches
+
+    def after(self, step: Step, b: Branch) -> list[Branch]:
+        at = sp.advance(self.rules, b.at, step)
+        if step.axis == "text":
+            if self.options.text_mode == "strict":
+                at = Context(preds=frozenset(p for p in at.preds if p[1] == model.TEXT))
+        if not at:
+            return []
+        if step.axis == "parent":
+            out = []
+            for d, records in self.parents(b).items():
+                own = Context(frozenset(c for c in at.chains if self.depth(c) == d))
+                out += self.tested(step, Branch(own, (d, records)))
+            return out
+        return self.tested(step, Branch(at, b.held))
+
+    def tested(self, step: Step, b: Branch) -> list[Branch]:
+        """Branches of one depth each that satisfy the step's condition."""
+        if step.condition is None:
+            return [b]
+        out = []
+        possible = {c for c in b.at.chains if sp.possible(self.rules, c, step.condition)}
+        for d, own in sorted(self.by_depth(possible).items()):
+            found = self.restrict(self.satisfying(step.condition, d, own), "okey", b.held)
+            out.append(Branch(Context(frozenset(own)), (d, found)))
+        if b.at.preds and isinstance(step.condition, Not):  # leaves have nothing to test
+            out.append(Branch(Context(preds=b.at.preds), b.held))
+        return out
+
+    def parents(self, b: Branch) -> dict[int, DataFrame]:
+        """Records, by depth, that have a node of the branch as a child."""
         parts = defaultdict(list)
-        if before.chains:
-            inner = self.restrict(self.records(before.chains), "okey", held).select("doc_id", keys.parent(F.col("okey")).alias("okey"), "chain")
-            for d, own in self.by_depth(before.chains).items():
+        if b.at.chains:
+            inner = self.restrict(self.records(b.at.chains), "okey", b.held).select("doc_id", keys.parent(F.col("okey")).alias("okey"), "chain")
+            for d, own in self.by_depth(b.at.chains).items():
                 if d > 1:
                     parts[d - 1].append(inner.where(_chains("chain", own)).select(*KEYS))
-        if before.preds:
-            facts = self.restrict(self.facts(before.preds), "gkey", held).select("doc_id", F.col("gkey").alias("okey"), "chain")
-            for d, own in self.by_depth({c for c, _ in before.preds}).items():
+        if b.at.preds:
+            facts = self.restrict(self.facts(b.at.preds), "gkey", b.held).select("doc_id", F.col("gkey").alias("okey"), "chain")
+            for d, own in self.by_depth({c for c, _ in b.at.preds}).items():
                 parts[d].append(facts.where(_chains("chain", own)).select(*KEYS))
         return {d: union_all(p).distinct() for d, p in parts.items()}
 
@@ -129,29 +145,37 @@ class Evaluator:
 
     def witnesses(self, test: Test, d: int, chains) -> tuple[DataFrame | None, DataFrame | None]:
         """Facts and records that a test finds from records of chains at depth d."""
-        at, held = self.run(test.path.steps, Context(frozenset(chains)), None)
-        facts = inner = None
-        preds = at.preds
-        if at.chains and (test.op is None or self.options.value_test != "leaf"):
-            if test.op is None:
-                inner = self.restrict(self.records(at.chains), "okey", held)
-            elif self.options.value_test == "own_text":
-                preds = preds | {(c, model.TEXT) for c in at.chains if model.TEXT in self.rules.by_chain[c].child_tags}
-            else:
-                below = sp.descendants(self.rules, at.chains)
-                all_ = {(c, t) for c in below for t in self.rules.by_chain[c].child_tags}
-                parts = []
-                for depth, own in self.by_depth(at.chains).items():
-                    texts = self.facts(all_).withColumn("_top", keys.cut(F.col("okey"), depth)).where(F.length("okey") > depth * keys.WIDTH)
-                    whole = texts.groupBy("doc_id", F.col("_top").alias("okey")).agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("okey", "value"))), lambda x: x["value"]), "").alias("value"))
-                    kept = whole.join(self.records(own).select(*KEYS), KEYS, "left_semi").withColumn("value_num", F.trim("value").try_cast("double"))
-                    parts.append(kept.where(self.compare(test)))
-                inner = self.restrict(union_all(parts), "okey", held)
-        if preds:
-            facts = self.restrict(self.facts(preds), "gkey", held)
-            if test.op is not None:
-                facts = facts.where(self.compare(test))
-        return facts, inner
+        facts, inner = [], []
+        for b in self.run(test.path.steps, Context(frozenset(chains))):
+            preds = b.at.preds
+            if b.at.chains and test.op is None:
+                inner.append(self.restrict(self.records(b.at.chains), "okey", b.held))
+            elif b.at.chains and self.options.value_test == "own_text":
+                preds = preds | {(c, model.TEXT) for c in b.at.chains if model.TEXT in self.rules.by_chain[c].child_tags}
+            elif b.at.chains and self.options.value_test == "string_value":
+                inner += [self.restrict(x, "okey", b.held) for x in self.whole_values(b.at.chains, test)]
+            if preds:
+                own = self.restrict(self.facts(preds), "gkey", b.held)
+                facts.append(own if test.op is None else own.where(self.compare(test)))
+        return union_all(facts) if facts else None, union_all(inner) if inner else None
+
+    def whole_values(self, chains, test: Test) -> list[DataFrame]:
+        """Records of chains whose whole text below satisfies a test."""
+        below = sp.descendants(self.rules, frozenset(chains))
+        every = {(c, t) for c in below for t in self.rules.by_chain[c].child_tags}
+        parts = []
+        for depth, own in self.by_depth(chains).items():
+            texts = self.facts(every).withColumn("_top", keys.cut(F.col("okey"), depth)).where(F.length("okey") > depth * keys.WIDTH)
+            whole = texts.groupBy("doc_id", F.col("_top").alias("okey")).agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("okey", "value"))), lambda x: x["value"]), "").alias("value"))
+            valued = whole.withColumn("value_num", F.trim("value").try_cast("double")).where(self.compare(test))
+            parts.append(self.records(own).join(valued.select(*KEYS), KEYS, "left_semi"))
+        return parts
+
+    def test_keys(self, test: Test, d: int, chains) -> DataFrame:
+        """Records (doc_id, okey) at depth d that satisfy a test; not distinct."""
+        facts, inner = self.witnesses(test, d, chains)
+        parts = [x.select("doc_id", keys.cut(F.col(c), d).alias("okey")) for x, c in ((facts, "gkey"), (inner, "okey")) if x is not None]
+        return union_all(parts) if parts else self.records([]).select(*KEYS)
 
     @staticmethod
     def compare(test: Test) -> Column:
@@ -163,12 +187,6 @@ class Evaluator:
         literal = F.lit(test.literal)
         return {"=": value == literal, "!=": value != literal, "<": value < literal, ">": value > literal, "<=": value <= literal, ">=": value >= literal}[test.op]
 
-    def test_keys(self, test: Test, d: int, chains) -> DataFrame:
-        """Records (doc_id, okey) at depth d that satisfy a test; not distinct."""
-        facts, inner = self.witnesses(test, d, chains)
-        parts = [x.select("doc_id", keys.cut(F.col(c), d).alias("okey")) for x, c in ((facts, "gkey"), (inner, "okey")) if x is not None]
-        return union_all(parts) if parts else self.records([]).select(*KEYS)
-
     def ordered(self, parts: tuple[Condition, ...]) -> tuple[Condition, ...]:
         """The parts of a conjunction in the order in which they are evaluated."""
         if self.options.order == "text":
@@ -234,18 +252,20 @@ class Evaluator:
 
     def answers(self, path: Path) -> DataFrame:
         """doc_id, okey, tag, kind, value, value_num of the nodes that a path returns; each once."""
-        at, held = self.run(path.steps, sp.ROOT, None)
         columns = ["doc_id", "okey", "tag", "kind", "value", "value_num"]
         parts = []
-        if at.chains:
-            inner = self.restrict(self.records(at.chains), "okey", held)
-            parts.append(inner.select("doc_id", "okey", "tag", F.lit(model.INNER).alias("kind"), F.lit(None).cast("string").alias("value"), F.lit(None).cast("double").alias("value_num")))
-        if at.preds:
-            facts = self.restrict(self.facts(at.preds), "gkey", held)
-            parts.append(facts.select("doc_id", "okey", F.col("pred").alias("tag"), "kind", "value", "value_num"))
+        branches = self.run(path.steps, sp.ROOT)
+        for b in branches:
+            if b.at.chains:
+                inner = self.restrict(self.records(b.at.chains), "okey", b.held)
+                parts.append(inner.select("doc_id", "okey", "tag", F.lit(model.INNER).alias("kind"), F.lit(None).cast("string").alias("value"), F.lit(None).cast("double").alias("value_num")))
+            if b.at.preds:
+                facts = self.restrict(self.facts(b.at.preds), "gkey", b.held)
+                parts.append(facts.select("doc_id", "okey", F.col("pred").alias("tag"), "kind", "value", "value_num"))
         if not parts:
             return self.store.facts.where(F.lit(False)).select("doc_id", "okey", F.col("pred").alias("tag"), "kind", "value", "value_num")
-        return union_all(parts).select(*columns)
+        found = union_all(parts).select(*columns)
+        return found.distinct() if len(branches) > 1 else found
 
 
 def query(store: Store, path: str | Path, **options) -> DataFrame:
@@ -312,9 +332,13 @@ def derivation_counts(store: Store, path: str) -> DataFrame:
     children of a predicate, products over predicates, from the deepest level up."""
     tree = parse(path)
     evaluator = Evaluator(store)
-    at, held = evaluator.run(tree.steps, sp.ROOT, None)
+    at = sp.resolve(store.rules, tree)[-1]
+    wanted = evaluator.answers(tree).where(F.col("kind") == model.INNER).select("doc_id", "okey")
     below = sp.descendants(store.rules, at.chains)
-    top = min(store.rules.by_chain[c].depth for c in at.chains)
+    depths = {store.rules.by_chain[c].depth for c in at.chains}
+    if len(depths) != 1:
+        raise ValueError("answers of one level, please")
+    top = depths.pop()
     deepest = max(store.rules.by_chain[c].depth for c in below)
     facts = store.facts.where(_chains("chain", below)).select("doc_id", "pred", "gkey", keys.depth(F.col("gkey")).alias("d"), F.lit(1.0).alias("n"))
     made: DataFrame | None = None
@@ -325,18 +349,18 @@ def derivation_counts(store: Store, path: str) -> DataFrame:
             own = own.unionByName(up)
         sums = own.groupBy("doc_id", "gkey", "pred").agg(F.sum("n").alias("n"))
         made = sums.groupBy("doc_id", F.col("gkey").alias("okey")).agg(F.product("n").alias("n"))
-    return evaluator.restrict(made.join(store.records.where(_chains("chain", at.chains)).select("doc_id", "okey"), ["doc_id", "okey"], "left_semi"), "okey", held)
+    return made.join(wanted, ["doc_id", "okey"], "left_semi")
 
 
 def derivations(store: Store, path: str, limit: int = 1000) -> DataFrame:
     """One row for each combination of children of the answer records, for records of leaves and attributes; at most limit."""
     tree = parse(path)
     evaluator = Evaluator(store)
-    at, held = evaluator.run(tree.steps, sp.ROOT, None)
+    wanted = evaluator.answers(tree).where(F.col("kind") == model.INNER).select("doc_id", "okey")
     out = []
-    for c in sorted(at.chains):
+    for c in sorted(sp.resolve(store.rules, tree)[-1].chains):
         shape = store.rules.by_chain[c]
-        rows = evaluator.restrict(evaluator.records([c]), "okey", held).select("doc_id", F.col("okey").alias("gkey"))
+        rows = evaluator.records([c]).join(wanted, ["doc_id", "okey"], "left_semi").select("doc_id", F.col("okey").alias("gkey"))
         for p in shape.preds:
             one = store.facts.where((F.col("pred") == p) & (F.col("chain") == c)).select("doc_id", "gkey", F.struct(F.lit(p).alias("pred"), "value", "okey").alias(f"_{p}"))
             rows = rows.join(one, ["doc_id", "gkey"])

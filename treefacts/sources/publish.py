@@ -52,7 +52,8 @@ def texts(column: Column, df: DataFrame) -> Column:
     if kind == "array":
         return F.array_join(column.cast("array<string>"), " ")
     if kind in ("timestamp", "timestamp_ntz"):
-        return F.date_format(column, "yyyy-MM-dd'T'HH:mm:ss")
+        micros = F.unix_micros(column.cast("timestamp")) % 1_000_000
+        return F.when(micros == 0, F.date_format(column, "yyyy-MM-dd'T'HH:mm:ss")).otherwise(F.date_format(column, "yyyy-MM-dd'T'HH:mm:ss.SSSSSS"))
     return column.cast("string")
 
 
