@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import os
 import shutil
 import tempfile
@@ -54,7 +55,25 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     """Writes df as Parquet in the shared folder and reads it back: lineage ends there and lost executors cost nothing."""
     folder = new_folder(df.sparkSession, name)
     df.write.parquet(folder)
-    return df.sparkSession.read.schema(df.schema).parquet(folder)
+    out = df.sparkSession.read.schema(df.schema).parquet(folder)
+    out._treefacts_folder = folder
+    return out
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Deletes what materialise() wrote, once nothing reads it any more."""
+    for df in tables:
+        folder = getattr(df, "_treefacts_folder", None)
+        if folder:
+            sc = df.sparkSession.sparkContext
+            path = sc._jvm.org.apache.hadoop.fs.Path(folder)
+            path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def free(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of tables that are out of use: it does when the driver has collected garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def id_type(df: DataFrame, column: str) -> str:

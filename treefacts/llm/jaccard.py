@@ -119,33 +119,32 @@ class Join:
     def __init__(self, docs: DataFrame, id_col: str, text_col: str, rule: Rule):
         self.rule, self.spark = rule, docs.sparkSession
         self.texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-        self.base = common.materialise(sketch(docs, id_col, text_col, rule), "sketch")
-        sets = self.base.where("n > 0 and id is not null")
-        #: of the documents of one set the smallest id stands for all
-        self.sets = common.materialise(sets.groupBy("print1", "print2", "n").agg(F.min("id").alias("rep")), "sets")
-        self.verified: DataFrame | None = None
+        self.sketch = common.materialise(sketch(docs, id_col, text_col, rule), "sketch")
+        self.base = common.materialise(self.sketch.drop("first"), "sets-of-rows")
+        # of the documents of one set the smallest id stands for all
+        self.sets = common.materialise(self.base.where("n > 0 and id is not null").groupBy("print1", "print2", "n").agg(F.min("id").alias("rep")), "sets")
         self.component: DataFrame | None = None
 
     def hot_tokens(self) -> np.ndarray:
         """Tokens in the first tokens of over HOT_SHARE of the documents: at most as many as the mean number of first
         tokens over HOT_SHARE, whatever the number of documents."""
         least = max(RARE, int(HOT_SHARE * self.base.count()))
-        found = self.base.select(F.explode("first").alias("token")).groupBy("token").count().where(F.col("count") > least)
+        found = self.sketch.select(F.explode("first").alias("token")).groupBy("token").count().where(F.col("count") > least)
         return np.sort(np.array([r[0] for r in found.select("token").collect()], np.int64).view(np.uint64))
 
     def prefixes(self) -> DataFrame:
-        """token, id, n: of tokens that several representatives have in their prefixes."""
-        hot = self.spark.sparkContext.broadcast(self.hot_tokens())
-        rule, texts = self.rule, self.texts
-
-        def with_hot(docs: DataFrame) -> DataFrame:
-            return token_lists(docs, rule, hot.value)
-
-        reps = self.sets.where("n > 1").select(F.col("rep").alias("id"), "n").groupBy("id").agg(F.max("n").alias("n"))
-        rows = common.materialise(with_hot(texts).join(reps, "id").select("id", "n", F.explode("tokens").alias("token")), "prefixes")
-        shared = rows.groupBy("token").agg(F.min("id").alias("low"), F.max("id").alias("high"), F.count("*").alias("holders")).where("low < high")
-        shared = common.materialise(shared.select("token", "holders"), "shared-tokens")
-        return common.materialise(rows.join(shared, "token"), "shared-prefixes")
+        """token, id, n, holders: of tokens that several representatives have in their prefixes."""
+        hot = self.hot_tokens()
+        common.discard(self.sketch)
+        common.free(self.spark)
+        reps = self.sets.where("n > 1").select(F.col("rep").alias("id"), "n")
+        lists = common.materialise(token_lists(self.texts, self.rule, hot).join(reps, "id"), "prefixes")
+        rows = lists.select("id", "n", F.explode("tokens").alias("token"))
+        shared = rows.groupBy("token").agg(F.min("id").alias("low"), F.max("id").alias("high"), F.count("*").alias("holders")).where("low < high").select("token", "holders")
+        out = common.materialise(rows.join(shared, "token"), "shared-prefixes")
+        common.discard(lists)
+        common.free(self.spark)
+        return out
 
     def verify(self, pairs: DataFrame) -> DataFrame:
         """Links among pairs (a, b): those whose whole sets are close enough."""
@@ -155,69 +154,77 @@ class Join:
         a, b = sets.select(F.col("id").alias("a"), F.col("tokens").alias("ta")), sets.select(F.col("id").alias("b"), F.col("tokens").alias("tb"))
         shared = F.size(F.array_intersect("ta", "tb"))
         found = pairs.join(a, "a").join(b, "b").select("a", "b", shared.alias("shared"), (F.size("ta") + F.size("tb")).alias("both"))
-        return found.where(F.col("both") > 0).where(100 * F.col("shared") >= self.rule.percent * (F.col("both") - F.col("shared"))).select("a", "b")
+        links = common.materialise(found.where("both > 0").where(100 * F.col("shared") >= self.rule.percent * (F.col("both") - F.col("shared"))).select("a", "b"), "new-links")
+        common.discard(pairs, sets)
+        common.free(self.spark)
+        return links
 
     def add(self, pairs: DataFrame) -> bool:
         """Verifies pairs and joins components; whether there were links."""
-        new = common.materialise(self.verify(pairs), "new-links")
+        new = self.verify(pairs)
         if new.isEmpty():
             return False
-        self.verified = new if self.verified is None else common.materialise(self.verified.union(new).distinct(), "all-links")
-        self.component = graph.components(self.verified)
+        # the components so far stand for their links
+        known = new if self.component is None else new.union(self.component.select(F.col("id").alias("a"), F.col("component").alias("b")))
+        self.component, old = graph.components(known), self.component
+        common.discard(new, old)
         return True
 
-    def labelled(self, prefixes: DataFrame) -> DataFrame:
-        if self.verified is None:
-            return prefixes.withColumn("component", F.col("id"))
-        return prefixes.join(self.component, "id", "left").withColumn("component", F.coalesce("component", "id"))
-
-    def mixed(self, prefixes: DataFrame) -> DataFrame:
+    def mixed(self, rows: DataFrame) -> DataFrame:
         """Rows of keys that hold several components still."""
-        rows = common.materialise(self.labelled(prefixes.drop("component")), "labelled-prefixes")
-        several = common.materialise(rows.groupBy("token").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("token"), "mixed-tokens")
-        return common.materialise(rows.join(several, "token", "left_semi"), "mixed-prefixes")
+        own = rows.drop("component")
+        if self.component is None:
+            own = own.withColumn("component", F.col("id"))
+        else:
+            own = own.join(self.component, "id", "left").withColumn("component", F.coalesce("component", "id"))
+        several = own.groupBy("token").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("token")
+        out = common.materialise(own.join(several, "token", "left_semi"), "mixed-prefixes")
+        common.discard(rows)
+        return out
+
+    def least_shared(self, na: Column, nb: Column) -> Column:
+        """How many tokens two prefixes share at least if the sets link: of the prefix that ends first in the order, all but what
+        the partner lacks are in the other."""
+        lack = lambda n: F.floor(F.lit(100 - self.rule.percent) * n / 100)
+        return self.rule.shared_at_least(na, nb) + 2 + F.least(lack(na) - na, lack(nb) - nb)
 
     def pivots(self, rows: DataFrame, highest: bool) -> DataFrame:
-        """For each document the pivot that it shares most keys with; a key's pivot is its lowest or highest document."""
+        """For each document the pivot that it shares most keys with; a key's pivot is its lowest or highest document. Few
+        shared keys are left for the last round."""
         pick = F.max if highest else F.min
-        pivot = common.materialise(rows.groupBy("token").agg(pick(F.struct("id", "n", "component")).alias("pivot")), "pivots")
+        pivot = rows.groupBy("token").agg(pick(F.struct("id", "n", "component")).alias("pivot"))
         near = rows.join(pivot, "token").where("component <> pivot.component").where(self.rule.sizes_fit(F.col("n"), F.col("pivot.n")))
-        counts = near.groupBy("id", F.col("pivot.id").alias("to")).agg(F.count("*").alias("n"))
-        best = counts.groupBy("id").agg(F.max(F.struct("n", "to")).alias("best"))
+        counts = near.groupBy("id", F.col("pivot.id").alias("to")).agg(F.count("*").alias("shared"), F.first("n").alias("n"), F.first("pivot.n").alias("m"))
+        best = counts.where(F.col("shared") * 3 >= self.least_shared(F.col("n"), F.col("m"))).groupBy("id").agg(F.max(F.struct("shared", "to")).alias("best"))
         return best.select(F.least("id", "best.to").alias("a"), F.greatest("id", "best.to").alias("b"))
 
-    def representatives(self, rows: DataFrame) -> DataFrame:
+    @staticmethod
+    def representatives(rows: DataFrame) -> DataFrame:
         """The rows of one document for each key and component."""
         one = rows.groupBy("token", "component").agg(F.min(F.struct("id", "n")).alias("one"))
-        return common.materialise(one.select("token", "component", "one.id", "one.n"), "representatives")
+        return one.select("token", "component", "one.id", "one.n")
 
     def remaining(self, rows: DataFrame) -> DataFrame:
         """All pairs of different components that may link: by rare tokens, or by pairs of frequent ones."""
-        rule = self.rule
-        lack = lambda n: F.floor(F.lit(100 - rule.percent) * n / 100)
         frequent = rows.where(F.col("holders") > RARE)
         numbers = frequent.groupBy("id").agg(F.count("*").alias("frequent"))
         rare = rows.where(F.col("holders") <= RARE).join(numbers, "id", "left").select("token", "id", "n", "component", F.coalesce("frequent", F.lit(0)).alias("frequent"))
 
         def pairs(of: DataFrame, key: str) -> DataFrame:
             x, y = of.alias("x"), of.alias("y")
-            return x.join(y, F.col(f"x.{key}") == F.col(f"y.{key}")).where("x.id < y.id and x.component <> y.component").where(rule.sizes_fit(F.col("x.n"), F.col("y.n")))
+            return x.join(y, F.col(f"x.{key}") == F.col(f"y.{key}")).where("x.id < y.id and x.component <> y.component").where(self.rule.sizes_fit(F.col("x.n"), F.col("y.n")))
 
         shared = pairs(rare, "token").groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count("*").alias("shared"), F.first("x.n").alias("na"), F.first("y.n").alias("nb"), F.first(F.least("x.frequent", "y.frequent")).alias("more"))
-        # of the shorter prefix, all but what the partner lacks are in the other
-        least = rule.shared_at_least(F.col("na"), F.col("nb")) + 2 + F.least(lack(F.col("na")) - F.col("na"), lack(F.col("nb")) - F.col("nb"))
-        by_rare = shared.where(F.col("shared") + F.col("more") >= least).select("a", "b")
+        by_rare = shared.where(F.col("shared") + F.col("more") >= self.least_shared(F.col("na"), F.col("nb"))).select("a", "b")
         tokens = frequent.groupBy("id", "n", "component").agg(F.sort_array(F.collect_list("token")).alias("tokens")).where(F.size("tokens") > 1)
         combined = tokens.select("id", "n", "component", F.posexplode("tokens").alias("place", "one"), "tokens").select("id", "n", "component", "one", F.explode(F.slice("tokens", F.col("place") + 2, F.size("tokens"))).alias("other"))
         keyed = combined.select("id", "n", "component", F.xxhash64("one", "other").alias("key"))
         several = keyed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key")
-        keyed = common.materialise(keyed.join(several, "key"), "combinations")
-        by_frequent = pairs(keyed, "key").select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
+        by_frequent = pairs(common.materialise(keyed.join(several, "key"), "combinations"), "key").select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
         return by_rare.union(by_frequent)
 
     def link(self) -> None:
-        prefixes = self.prefixes()
-        rows = self.mixed(prefixes)
+        rows = self.mixed(self.prefixes())
         self.add(self.pivots(rows, False))
         for step in range(SPREAD_ROUNDS):
             rows = self.mixed(rows)
@@ -227,12 +234,13 @@ class Join:
                 break
         rows = self.mixed(rows)
         self.add(self.remaining(rows))
+        common.discard(rows)
 
     def classes(self) -> DataFrame:
         """id, n_shingles, component_id of each row."""
         self.link()
         sets = self.sets
-        if self.verified is not None:
+        if self.component is not None:
             sets = sets.join(self.component.withColumnRenamed("id", "rep"), "rep", "left").withColumn("rep", F.coalesce("component", "rep")).drop("component")
         sets = common.materialise(sets, "set-components")
         found = self.base.join(sets, ["print1", "print2", "n"], "left")
