@@ -51,7 +51,7 @@ def op6_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.read(spark, sf_dir, "documents")
-    return tokens.round_trip(docs, [F.col("doc_id"), F.col("text")]).select("doc_id", "start", "n_tokens", "ids_crc32")
+    return tokens.round_trip(docs, [F.col("doc_id"), F.xxhash64("text")]).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

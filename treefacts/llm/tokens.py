@@ -13,6 +13,7 @@ from __future__ import annotations
 import os
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -40,6 +41,13 @@ def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def byte_letters() -> dict[int, int]:
+    """The letter by which a byte-level vocabulary writes each byte: printable ones themselves, the others from U+0100 on."""
+    printable = [b for b in range(256) if 0x21 <= b <= 0x7E or 0xA1 <= b <= 0xAC or 0xAE <= b]
+    others = [b for b in range(256) if b not in printable]
+    return {b: b for b in printable} | {b: 0x100 + i for i, b in enumerate(others)}
+
+
 class Pieces(dict):
     """Ids (uint16 bytes) of pieces of text, encoded by the tokenizer when first met.
 
@@ -53,6 +61,7 @@ class Pieces(dict):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
+        self.merge, self.letters = self.tokenizer.model.tokenize, byte_letters()
         if self.tokenizer.get_vocab_size() > 1 << 16:
             raise ValueError("ids of over 16 bits")
 
@@ -62,7 +71,8 @@ class Pieces(dict):
     def __missing__(self, piece: str) -> bytes:
         if len(self) >= CACHE_WORDS:
             self.clear()
-        ids = self.whole(piece)
+        written = piece.encode().decode("latin-1").translate(self.letters)
+        ids = array("H", [t.id for t in self.merge(written)]).tobytes()
         if len(piece) < 64:
             self[piece] = ids
         return ids
