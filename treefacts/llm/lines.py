@@ -11,7 +11,7 @@ if it has min_words words. So the doubling may end at min_lines: a place that is
 and its lines go. suffix_array() doubles to the end and gives the order of all suffixes that begin with a repeated line.
 
 Null text: no lines, text stays null. Empty text: stays. Blank lines stay and end runs. Ties in the order of documents: rows
-of one id are taken by text, equal rows in any order. A null id comes first. Work is by line, never by group of equal lines; one
+of one id are taken by a fingerprint of the text, equal rows in any order. A null id comes first. Work is by line, never by group of equal lines; one
 document's lines are together in a task, as its text is.
 """
 
@@ -33,8 +33,9 @@ WORD = "[^\\x20\\x09-\\x0D]+"
 def numbered(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """doc (a number of the row that follows id and text; unique), id, text."""
     rows = docs.select(docs[id_col].alias("id"), docs[text_col].alias("text"))
-    dealt = rows.repartitionByRange("id", "text").sortWithinPartitions("id", "text")
-    return common.materialise(dealt.withColumn("doc", F.monotonically_increasing_id()), "numbered")
+    rows = rows.withColumn("print", F.xxhash64("text"))
+    dealt = rows.repartitionByRange("id", "print").sortWithinPartitions("id", "print")
+    return common.materialise(dealt.drop("print").withColumn("doc", F.monotonically_increasing_id()), "numbered")
 
 
 def line_places(docs: DataFrame) -> DataFrame:
