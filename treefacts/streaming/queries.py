@@ -7,6 +7,9 @@ import re
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from treefacts.operators.shapes import rules
+from treefacts.plans.path import parse
+from treefacts.plans.specialise import resolve
 from treefacts.session import materialise, new_folder, table
 from treefacts.sources import markup
 from treefacts.streaming import hits
@@ -98,7 +101,25 @@ def st_join(spark: SparkSession, d: str) -> DataFrame:
     return hits.run_once(stream).groupBy(F.col("c_mktsegment").alias("segment")).agg(F.count("*").alias("n"))
 
 
+def st_translate(spark: SparkSession, d: str) -> DataFrame:
+    """Facts of a stream of documents, types by the rules of what came before it."""
+    nodes = materialise(markup.from_xml_text(_chat_text(spark, d)), "chat-nodes")
+    found = hits.run_once(hits.translate(_node_stream(spark, d), rules(nodes)))
+    return found.where("typ is not null").groupBy("pred").agg(F.count("*").alias("n"))
+
+
+def st_standing(spark: SparkSession, d: str) -> DataFrame:
+    """A standing path over a stream of documents: what assistants said, after a user or a system."""
+    nodes = materialise(markup.from_xml_text(_chat_text(spark, d)), "chat-nodes")
+    known = rules(nodes)
+    chains = sorted(c for c, p in resolve(known, parse("/conversation[user]/assistant"))[-1].preds if p == "assistant")
+    found = hits.run_once(hits.standing(hits.translate(_node_stream(spark, d), known), chains, "assistant"))
+    return found.groupBy("doc_id").agg(F.count("*").alias("n"))
+
+
 QUERIES = {
+    "st_translate": (st_translate, "select role as pred, count(*) as n from conversations group by 1 union all select '@id', count(distinct conv_id) from conversations"),
+    "st_standing": (st_standing, "select conv_id as doc_id, count(*) as n from conversations c where role = 'assistant' and exists (select 1 from conversations u where u.conv_id = c.conv_id and u.role = 'user') group by 1"),
     "st_tumbling": (st_tumbling, "select date_trunc('hour', ts) as start, event_type, count(*) as n from events group by 1, 2"),
     "st_sliding": (st_sliding, "select start, event_type, count(*) as n from (select date_trunc('hour', ts) as start, event_type from events union all select date_trunc('hour', ts) - interval 1 hour, event_type from events) group by 1, 2"),
     "st_session": (st_session, "with g as (select *, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hour then 0 else 1 end as fresh from events) select user_id, cast(sum(fresh) as bigint) as sessions, count(*) as n from g group by 1"),

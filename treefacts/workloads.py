@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from treefacts import collections as trees
+from treefacts import sql as surface
 from treefacts.functions import keys
 from treefacts.operators import answers, evaluate, index, profile, rebuild, shapes
 from treefacts.plans import path as paths
@@ -119,6 +120,9 @@ path_query("w31_two_shapes", "K4", "/documents/document[quality=1]/chars", K4 +
 
 # variants and baselines: the same answers in other ways
 
+path_query("m_string_value", "K1", '/orders/order[item="x"]/total', K1 + union(order_leaves("false", ("total",))), value_test="string_value")
+path_query("m_own_text", "K4", '/documents[document="x"]/document/chars', K4 + rows("dnode", "chars", "n_chars", "d", "false", True), value_test="own_text")
+
 W27 = '/orders/order[@status="F" and custkey=85]/item'
 for variant, options in {"document_order": {"order": "document"}, "cost_order": {"order": "cost"}, "bottomup": {"engine": "bottomup"}}.items():
     path_query(f"m_{variant}", "K1", W27, SQL["w27_attribute_and_leaf"], **options)
@@ -449,6 +453,21 @@ def op_sql(spark, d):
     return spark.sql("select count(*) as n from parts_facts where pred = 'size' and value_num = 10")
 
 
+@register("op_udtf", "select conv_id as doc_id, count(*) as leaves from conversations where trim(text) <> '' group by 1")
+def op_udtf(spark, d):
+    surface.register(spark)
+    store = trees.store(spark, d, "K5")
+    ids = store.facts.where("pred = '@id'").select("gkey", F.col("value").cast("long").alias("conv_id"))
+    answers.forest(store, "/conversations/conversation").join(ids, F.col("okey") == F.col("gkey")).select(F.col("conv_id").alias("doc_id"), "xml").createOrReplaceTempView("chat_texts")
+    return spark.sql("select doc_id, count(*) as leaves from chat_texts, lateral tree_parse(xml) t where t.kind = 'leaf' and t.value <> '' group by doc_id")
+
+
+@register("op_path_view", "select max(p_retailprice) as highest, count(*) as n from part where p_size > 40")
+def op_path_view(spark, d):
+    surface.path_view(trees.store(spark, d, "K3"), "/parts/part[size>40]/price", "large_parts")
+    return spark.sql("select max(value_num) as highest, count(*) as n from large_parts_answers")
+
+
 for name, (query, sql) in streams.QUERIES.items():
     QUERIES[name], _ = query, SQL.update({name: sql} if sql else {})
 
