@@ -146,3 +146,31 @@ def test_random_trees(spark):
         want = sorted((i, *x) for i, root in roots.items() for x in Reference(root).query(path))
         got = sorted((r.doc_id, ".".join(map(str, keys.decode(r.okey))), r.tag) for r in evaluate.query(store, path).collect())
         assert got == want, path
+
+
+@pytest.mark.parametrize("options", [{"value_test": "own_text"}, {"value_test": "string_value"}, {"text_mode": "strict"}])
+def test_other_readings_agree_with_brute_force(stores, options):
+    reference = Reference(markup.parse_xml(K0E), **options)
+    for path in ('/store/vol[by="Kim"]/name', '/store/vol[by="KimLee"]/name', '/store/vol/by[first="LeeKimend"]/nick2', "/store/vol/by/text()", "/store//text()", '//vol[name="N1" and by="Pat Doe"]/note'):
+        assert answers(stores["e"], path, **options) == reference.query(path), path
+
+
+def test_type_scope_may_let_others_in(stores):
+    path = "/store/vol/by"
+    exact, literal = answers(stores["e"], path), answers(stores["e"], path, goal_scope="type")
+    assert set(exact) <= set(literal)
+    assert answers(stores["e"], paths.render(specialise.existence_form(paths.parse('//by[nick="Lee"]')))) >= answers(stores["e"], '//by[nick="Lee"]')
+
+
+def test_literal_and_unique_types(spark, stores):
+    from treefacts.operators import shapes
+
+    found = stores["e"].rules.shapes
+    unique = shapes.type_numbers(found, "unique")
+    assert len({s.typ for s in unique}) == len(unique)
+    nodes = markup.from_xml_text(spark.createDataFrame([(1, K0E)], "doc_id long, xml string"))
+    literal = {".".join(map(str, keys.decode(r.okey))): r.n for r in shapes.literal_types(nodes).collect()}
+    assert literal["1.3"] == 0 and literal["1.4"] == 1 and literal["1.5"] == 2
+    deep = {".".join(map(str, keys.decode(r.okey))): r.deep for r in shapes.deep_signatures(nodes).collect()}
+    assert deep["1.3"] != deep["1.8"] and deep["1.3"] != deep["1.6"]
+    assert shapes.relation(("a", (), ()), ("b", (), ())) == "distinct"
