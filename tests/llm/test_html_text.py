@@ -10,6 +10,7 @@ from treefacts.llm import html_text
     (None, ""), ("", ""), ("plain words", "plain words"), ("<p>a&amp;b &eacute;<b>c</b>d<br>e", "a&b écd e"), ("<body><nav><a>x</a></nav><article><h1>T</h1><p>one  two\n three<p>four</article><footer>f</footer>", "T one two three four"),
     ("<article><p>short.</p><ul><li>a<li>b</ul></article><div class='comments'><p>" + "reader words " * 50 + "</div>", "short. a b"), ("<script>var a='<p>no</p>'</script><p>yes</p><!-- <p>no --><style>p{}</style>", "yes"),
     ("<div id=main><div class='sidebar'>s</div><form><p>f</p></form><p>body text, long enough to win here.</p></div><div class=cookie-notice>c</div>", "body text, long enough to win here."), ("<p>cut <a href='x", "cut"), ("<article><p>x</p><aside>y</aside><p>z</p></article>", "x z"),
+    ("<div class='page has-sidebar'><header>site</header><article><header class='entry-header'><h1>T</h1></header><p>x</p></article><div class=sidebar>s</div></div>", "T x"), ("<article class=post><p>a</p></article><section class='comments'><article class=comment><p>b</p></article></section>", "a"),
 ])
 def test_small_pages(page, want):
     assert html_text.main_text(page) == want

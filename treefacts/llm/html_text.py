@@ -41,6 +41,8 @@ CUT_WORDS = frozenset(
     "share sharing social socials follow tags tagcloud byline-links search searchbox form hidden".split()
 )
 ARTICLE_PARTS = frozenset(("article", "main"))
+#: Words that inside an article mark its own parts.
+OWN_WORDS = frozenset("header masthead copyright legal thread discussion promotion follow".split())
 TAG = re.compile(
     r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[(?P<cdata>.*?)(?:\]\]>|\Z)|<[!?][^>]*+(?:>|\Z)"
     r"|<(?P<end>/?)(?P<name>[a-zA-Z][^\s/>]*)(?P<atts>(?:[^>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)(?P<close>>|\Z)",
@@ -52,14 +54,14 @@ PARTS = re.compile(r"[\s_\-:]+")
 
 
 class Node:
-    __slots__ = ("atts", "chars", "children", "cut", "density", "link_chars", "link_tags", "name", "parent", "sum", "tags")
+    __slots__ = ("article", "atts", "chars", "children", "cut", "density", "link_chars", "link_tags", "name", "parent", "sum", "tags")
 
     def __init__(self, name: str, parent: Node | None, atts: dict[str, str]):
         self.name, self.parent, self.atts = name, parent, atts
         self.children: list[Node | str] = []
         self.chars = self.link_chars = self.tags = self.link_tags = 0
         self.density = self.sum = 0.0
-        self.cut = False
+        self.cut = self.article = False  #: article: an article or main element lies below
 
 
 def attributes(text: str) -> dict[str, str]:
@@ -109,6 +111,9 @@ def parse(page: str) -> Node:
                     break
         node = Node(name, open_[-1], attributes(m["atts"]))
         open_[-1].children.append(node)
+        if name in ARTICLE_PARTS:
+            for x in open_:
+                x.article = True
         if name in VOID or m["atts"].endswith("/"):
             continue
         if name in RAW:
@@ -130,11 +135,12 @@ def is_cut(node: Node, in_article: bool) -> bool:
         return False
     if "hidden" in atts or atts.get("aria-hidden") == "true" or atts.get("role", "").lower() in CUT_ROLES or re.search(r"display\s*:\s*none", atts.get("style", "")):
         return True
-    if name in ("html", "body", "article", "main"):
+    if name in ("html", "body", "main") or node.article:  # a wrapper of the article may be named for what stands beside it
         return False
+    words = CUT_WORDS - OWN_WORDS if in_article else CUT_WORDS
     for key in ("class", "id"):
         for word in atts.get(key, "").lower().split():
-            if word in CUT_WORDS or not CUT_WORDS.isdisjoint(PARTS.split(word)):
+            if word in words or not words.isdisjoint(PARTS.split(word)):
                 return True
     return False
 
