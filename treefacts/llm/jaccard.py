@@ -3,8 +3,9 @@
 A document's tokens are its distinct k-word shingles. All documents share one order of tokens: those in more than a
 given share of documents last, otherwise by fingerprint. If two documents link, of the first e + 2 tokens of either
 (e: how many of its tokens a partner may lack) at least two are shared. Tokens are of two classes by how many
-prefixes hold them: a rare one is a key by itself, frequent ones are keys in pairs. With r rare and f frequent tokens in a prefix
-of e + 2, a partner lacks at most e, so it has a rare one or two frequent ones in its own prefix, too.
+prefixes hold them. Rare ones index alone: pairs count their shared keys against a bound. Frequent ones are combined with more
+tokens: holders of a frequent token are held against one pivot, and only pairs that also share rare tokens of what they
+differ in from the pivot go on (see Join.by_differences).
 
 Equal sets are one class from the start. Large groups of near copies never become pairs: first each document is held
 against one pivot of its keys; the links found make components, and only keys that still hold several
@@ -22,7 +23,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from treefacts.llm import common, graph, textcore
@@ -205,23 +206,59 @@ class Join:
         return one.select("token", "component", "one.id", "one.n")
 
     def remaining(self, rows: DataFrame) -> DataFrame:
-        """All pairs of different components that may link: by rare tokens, or by pairs of frequent ones."""
+        """All pairs of different components that may link and share a rare token, or a frequent one."""
         frequent = rows.where(F.col("holders") > RARE)
         numbers = frequent.groupBy("id").agg(F.count("*").alias("frequent"))
         rare = rows.where(F.col("holders") <= RARE).join(numbers, "id", "left").select("token", "id", "n", "component", F.coalesce("frequent", F.lit(0)).alias("frequent"))
-
-        def pairs(of: DataFrame, key: str) -> DataFrame:
-            x, y = of.alias("x"), of.alias("y")
-            return x.join(y, F.col(f"x.{key}") == F.col(f"y.{key}")).where("x.id < y.id and x.component <> y.component").where(self.rule.sizes_fit(F.col("x.n"), F.col("y.n")))
-
-        shared = pairs(rare, "token").groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count("*").alias("shared"), F.first("x.n").alias("na"), F.first("y.n").alias("nb"), F.first(F.least("x.frequent", "y.frequent")).alias("more"))
+        x, y = rare.alias("x"), rare.alias("y")
+        near = x.join(y, F.col("x.token") == F.col("y.token")).where("x.id < y.id and x.component <> y.component").where(self.rule.sizes_fit(F.col("x.n"), F.col("y.n")))
+        shared = near.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count("*").alias("shared"), F.first("x.n").alias("na"), F.first("y.n").alias("nb"), F.first(F.least("x.frequent", "y.frequent")).alias("more"))
         by_rare = shared.where(F.col("shared") + F.col("more") >= self.least_shared(F.col("na"), F.col("nb"))).select("a", "b")
-        tokens = frequent.groupBy("id", "n", "component").agg(F.sort_array(F.collect_list("token")).alias("tokens")).where(F.size("tokens") > 1)
-        combined = tokens.select("id", "n", "component", F.posexplode("tokens").alias("place", "one"), "tokens").select("id", "n", "component", "one", F.explode(F.slice("tokens", F.col("place") + 2, F.size("tokens"))).alias("other"))
-        keyed = combined.select("id", "n", "component", F.xxhash64("one", "other").alias("key"))
-        several = keyed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key")
-        by_frequent = pairs(common.materialise(keyed.join(several, "key"), "combinations"), "key").select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
-        return by_rare.union(by_frequent)
+        return by_rare.union(self.by_differences(frequent))
+
+    def by_differences(self, frequent: DataFrame) -> DataFrame:
+        """Pairs that share frequent tokens, by how their sets differ from a pivot's.
+
+        Each holder of a token is held against the token's pivot. Two sets a and b link if they differ in at most D tokens, D
+        in proportion to their sizes. If their differences from the pivot have da and db tokens, of which s are common, they differ
+        in da + db - 2 s. Where s may be 0, both link with the pivot; other pairs share (da + db - D) / 2 of their
+        differences, so prefixes of these, rarest first, meet. Of two sets at least one doesn't link with the pivot.
+        """
+        pivot = frequent.groupBy("token").agg(F.min("id").alias("pivot"))
+        held = common.materialise(frequent.join(pivot, "token").select("id", "n", "component", "pivot").distinct(), "pivot-pairs")
+        ids = held.select("id").union(held.select("pivot")).distinct()
+        sets = common.materialise(token_lists(of_ids(self.texts, ids), self.rule, None), "pivot-sets")
+        own, theirs = sets.withColumnRenamed("tokens", "own"), sets.select(F.col("id").alias("pivot"), F.col("tokens").alias("theirs"))
+        both = held.join(own, "id").join(theirs, "pivot")
+        difference = F.concat(F.array_except("own", "theirs"), F.array_except("theirs", "own"))
+        size = F.size("own") + F.size("theirs")
+        found = both.select("id", "n", "component", "pivot", difference.alias("difference"), size.alias("size"))
+        union = (F.col("size") + F.size("difference")) / 2
+        inside = 100 * (F.col("size") - union) >= self.rule.percent * union
+        found = common.materialise(found.select("id", "n", "component", "pivot", inside.alias("inside"), "difference"), "differences")
+        common.discard(sets, held)
+        common.free(self.spark)
+
+        c = (100 - self.rule.percent) / (100 + self.rule.percent)
+        d = F.size("difference")
+        most = F.floor(c * F.col("n") * (1 + 100 / self.rule.percent) + 1e-6)  # D with any partner
+        short = d - F.greatest(F.lit(1), d - most, F.ceil(d * (1 - c) / 2 - 1e-6)) + 1  # for partners that don't link with the pivot
+        long = d - F.greatest(F.lit(1), d - most) + 1
+        tokens = found.select("id", "n", "component", "pivot", "inside", d.alias("d"), short.alias("short"), long.alias("long"), F.explode("difference").alias("token"))
+        several = tokens.groupBy("pivot", "token").agg(F.count("*").alias("holders")).where("holders > 1")
+        shared = tokens.join(several, ["pivot", "token"])
+        mine = Window.partitionBy("pivot", "id")
+        place = F.row_number().over(mine.orderBy("holders", "token")) + F.col("d") - F.count("*").over(mine)  # tokens of its own come first
+        keyed = shared.withColumn("place", place).where("place <= long")
+        keyed = common.materialise(keyed.select("pivot", "token", "id", "n", "component", "inside", "d", "place", (F.col("place") <= F.col("short")).alias("early")), "difference-keys")
+        x, y = keyed.where("early").alias("x"), keyed.where("not inside").alias("y")
+        near = x.join(y, (F.col("x.pivot") == F.col("y.pivot")) & (F.col("x.token") == F.col("y.token"))).where("x.component <> y.component and (x.inside or (y.early and x.id < y.id))")
+        # at the first token that they share, what is left behind it bounds all that they share
+        needed = (F.col("x.d") + F.col("y.d") - F.floor(c * (F.col("x.n") + F.col("y.n")) + 1e-6)) / 2
+        near = near.where(F.least(F.col("x.d") - F.col("x.place"), F.col("y.d") - F.col("y.place")) + 1 >= needed - 1e-6)
+        near = near.where(self.rule.sizes_fit(F.col("x.n"), F.col("y.n"))).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b"))
+        linked = found.where("inside and id <> pivot").select(F.least("id", "pivot").alias("a"), F.greatest("id", "pivot").alias("b"))
+        return near.union(linked)
 
     def link(self) -> None:
         rows = self.mixed(self.prefixes())
