@@ -14,6 +14,7 @@ Rows with equal id and equal payload: all are responses (or revisits of a smalle
 
 from __future__ import annotations
 
+import gzip
 import hashlib
 from collections.abc import Iterator
 
@@ -80,8 +81,8 @@ def page_records(page_id: int | None, url: str | None, payload: bytes, refers_to
         yield record("continuation", f"{name(page_id)}:{i}", [("WARC-Segment-Origin-ID", f"<{name(page_id)}>"), ("WARC-Segment-Number", i), *last], part)
 
 
-def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", segment_bytes: int = SEGMENT_BYTES, chunk_bytes: int = CHUNK_BYTES) -> None:
-    """Writes the archives of pages; of equal payloads the one with the smallest id is a response, others revisit it."""
+def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", segment_bytes: int = SEGMENT_BYTES, chunk_bytes: int = CHUNK_BYTES, compress: bool = True) -> None:
+    """Writes the archives of pages (each file compressed as a whole, if compress is set); of equal payloads the one with the smallest id is a response, others revisit it."""
     html = F.coalesce(F.col(html_col), F.lit(""))
     source = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url_col).alias("url"), F.encode(html, "UTF-8").alias("payload"))
     meta = source.select("id", F.sha2("payload", 256).alias("digest"), F.length("payload").alias("bytes"))
@@ -90,7 +91,9 @@ def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str =
     revisits = large.join(firsts, "digest").where("id > first").groupBy("id", "digest").agg(F.min("first").alias("first"))
     total = meta.agg(F.sum("bytes")).first()[0] or 0
     n_files = max(1, -(-total // FILE_BYTES))
-    marked = source.withColumn("digest", F.sha2("payload", 256)).join(revisits, ["id", "digest"], "left").select("id", "url", "payload", "first")
+    # one shuffle of the payloads: both sides are dealt to the files by the join's keys
+    by = lambda df: df.repartition(n_files, "id", "digest")
+    marked = by(source.withColumn("digest", F.sha2("payload", 256))).join(by(revisits), ["id", "digest"], "left").select("id", "url", "payload", "first")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array([record("warcinfo", "urn:treefacts:archive", [("Content-Type", "application/warc-fields")], b"format: WARC File Format 1.1\r\n")], pa.binary())], names=["value"])
@@ -100,12 +103,13 @@ def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str =
                 out = [r for page in zip(part["id"], part["url"], part["payload"], part["first"], strict=True) for r in page_records(*page, segment_bytes, chunk_bytes)]
                 yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["value"])
 
-    dealt = marked.repartition(n_files)
-    dealt.mapInArrow(run, "value binary").select(F.col("value").cast("string").alias("value")).write.option("compression", "none").text(folder)
+    marked.mapInArrow(run, "value binary").select(F.col("value").cast("string").alias("value")).write.option("compression", "gzip" if compress else "none").text(folder)
 
 
 def records(content: bytes) -> Iterator[tuple[dict[str, str], memoryview]]:
-    """Headers (names in lower case) and block of each record of a file."""
+    """Headers (names in lower case) and block of each record of a file, compressed or not."""
+    if content[:2] == b"\x1f\x8b":
+        content = gzip.decompress(content)
     at, view = 0, memoryview(content)
     while at < len(content):
         if content[at : at + 5] != b"WARC/":
