@@ -86,3 +86,11 @@ def test_imports_without_the_training_data_folders():
     for p in Path(workloads.__file__).parent.rglob("*.py"):
         if "llm" not in p.parts:
             assert "treefacts.llm" not in p.read_text()
+
+
+def test_derivation_rows_are_not_capped(spark, tiny):
+    text = "<r>" + "<v><a>1</a><a>2</a></v>" * 600 + "</r>"
+    store = Store.from_nodes(markup.from_xml_text(spark.createDataFrame([(1, text)], "doc_id long, xml string")))
+    assert evaluate.derivations(store, "/r/v").count() == 1200
+    assert evaluate.derivations(store, "/r/v", limit=7).count() == 7
+    assert "Limit" not in workloads.QUERIES["w22_derivation_rows"](spark, tiny)._jdf.queryExecution().toString()

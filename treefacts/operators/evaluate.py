@@ -352,8 +352,9 @@ def derivation_counts(store: Store, path: str) -> DataFrame:
     return made.join(wanted, ["doc_id", "okey"], "left_semi")
 
 
-def derivations(store: Store, path: str, limit: int = 1000) -> DataFrame:
-    """One row for each combination of children of the answer records, for records of leaves and attributes; at most limit."""
+def derivations(store: Store, path: str, limit: int | None = None) -> DataFrame:
+    """One row for each combination of children of the answer records, for records of leaves and attributes; all of them
+    unless a limit is given."""
     tree = parse(path)
     evaluator = Evaluator(store)
     wanted = evaluator.answers(tree).where(F.col("kind") == model.INNER).select("doc_id", "okey")
@@ -365,7 +366,8 @@ def derivations(store: Store, path: str, limit: int = 1000) -> DataFrame:
             one = store.facts.where((F.col("pred") == p) & (F.col("chain") == c)).select("doc_id", "gkey", F.struct(F.lit(p).alias("pred"), "value", "okey").alias(f"_{p}"))
             rows = rows.join(one, ["doc_id", "gkey"])
         out.append(rows.select("doc_id", F.col("gkey").alias("okey"), F.array(*[F.col(f"`_{p}`") for p in shape.preds]).alias("terms")))
-    return union_all(out).limit(limit)
+    every = union_all(out)
+    return every if limit is None else every.limit(limit)
 
 
 def access_plan(store: Store, path: str) -> list[dict]:
