@@ -59,3 +59,18 @@ def test_odd_rows(odd, none):
     assert len(rows) == 11
     assert all(r.text is None and r.n_lines == 0 for r in rows if r.doc_id in (3, 9))
     assert lines.dedup(none).count() == 0
+
+
+def test_runs_go_across_blank_lines(spark):
+    words = lambda k: " ".join(f"w{k}x{i}" for i in range(30))
+    notice = [words(k) for k in range(4)]
+    rows = [
+        (1, "\n\n".join(["own 1", *notice])), (2, "\n \t\r\n\n".join([*notice, "own 2"])), (3, " \r\n" + "\n".join(notice[:2]) + "\n\n"), (4, "own 4\n\n" + notice[0]),
+        (5, "\n\na\n\nb\n\n\nc\n"), (6, "a\r\n\r\nb\r\n\r\nc"), (7, "a\n\nb\n\nd"), (8, "\n \n"),
+    ]
+    got = {r.doc_id: r for r in lines.dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {d: r.n_removed for d, r in got.items()} == {1: 0, 2: 4, 3: 2, 4: 0, 5: 0, 6: 3, 7: 0, 8: 0}
+    assert all(got[d].text == dict(rows)[d] for d in (1, 4, 5, 7, 8))
+    assert got[2].text.split() == ["own", "2"] and not got[3].text.strip() and not got[6].text.strip()
+    found = lines.suffix_array(spark.createDataFrame(rows[4:7], "doc_id long, text string")).collect()
+    assert {(r.doc_id, r.line) for r in found} == {(5, 2), (5, 4), (5, 7), (6, 0), (6, 2), (6, 4), (7, 0), (7, 2)}

@@ -1,6 +1,7 @@
 """Line dedup by a suffix array over line ids, built by distributed prefix doubling.
 
-Each line (trimmed; blank ones aside) is named by a fingerprint. Level 0 ranks the places of lines by it; level k + 1 sorts
+Lines are trimmed and blank ones left out before the others of a document are numbered, so runs go across blank lines. Each
+line is named by a fingerprint. Level 0 ranks the places of lines by it; level k + 1 sorts
 the distinct pairs of ranks of a place and of the one 2^k lines on, so a rank at level k is the place's order among all
 runs of 2^k lines. Places whose run occurs once drop out, as no longer run of theirs can repeat. Places of equal rank at
 level k are a longest-common-prefix interval of at least 2^k lines; two ranks that overlap name the intervals of the
@@ -10,7 +11,7 @@ A maximal repeated run of min_lines lines or more is the union of its runs of ex
 if it has min_words words. So the doubling may end at min_lines: a place that isn't the first of its interval is a later copy,
 and its lines go. suffix_array() doubles to the end and gives the order of all suffixes that begin with a repeated line.
 
-Null text: no lines, text stays null. Empty text: stays. Blank lines stay and end runs. Ties in the order of documents: rows
+Null text: no lines, text stays null. Empty text: stays. Blank lines stay, also between lines that go. Ties in the order of documents: rows
 of one id are taken by a fingerprint of the text, equal rows in any order. A null id comes first. Work is by line, never by group of equal lines; one
 document's lines are together in a task, as its text is.
 """
@@ -20,7 +21,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from treefacts.llm import common
@@ -28,6 +29,7 @@ from treefacts.llm import common
 MIN_LINES = 3
 MIN_WORDS = 50
 WORD = "[^\\x20\\x09-\\x0D]+"
+BLANK = " \t\r\x0b\x0c"
 
 
 def numbered(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -39,11 +41,18 @@ def numbered(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def line_places(docs: DataFrame) -> DataFrame:
-    """doc, line (from 0), print of each line that isn't blank."""
-    split = docs.where(F.col("text").isNotNull()).select("doc", F.posexplode(F.split("text", "\n")).alias("line", "text"))
+    """doc, line (from 0, of those that aren't blank), print of each line that isn't blank."""
+    whole = F.trim("text", F.lit(BLANK + "\n"))  # so that blank lines are all between others
+    split = docs.where(F.col("text").isNotNull()).select("doc", F.posexplode(F.split(whole, f"\n[{BLANK}\n]*")).alias("line", "text"))
     return split.withColumn("text", F.trim(F.translate("text", "\t\r\x0b\x0c", "    "))).where("text <> ''").select("doc", "line", F.xxhash64("text").alias("rank"))
 
 
+def original(text: Column) -> Column:
+    """For each line that isn't blank, its number among all lines."""
+    numbers = F.transform(F.split(text, "\n"), lambda x, i: F.when(F.trim(x, F.lit(BLANK)) != "", i))
+    return F.filter(numbers, lambda i: i.isNotNull())
+
+
 def repeated(rows: DataFrame, keys: list[str]) -> DataFrame:
     return rows.groupBy(*keys).agg(F.count("*").alias("n"), F.min(F.struct("doc", "line")).alias("first")).where("n > 1")
 
@@ -84,7 +93,8 @@ def suffix_array(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     for x in found[1:]:
         every = every.union(x)
     ranks = every.groupBy("doc", "line").agg(F.transform(F.sort_array(F.collect_list(F.struct("level", "rank"))), lambda x: x["rank"]).alias("ranks"))
-    return ranks.join(rows.select("doc", "id"), "doc").select(F.col("id").alias(id_col), "line", "ranks")
+    lines_of = rows.select("doc", "id", original(F.col("text")).alias("lines"))
+    return ranks.join(lines_of, "doc").select(F.col("id").alias(id_col), F.get("lines", F.col("line")).alias("line"), "ranks")
 
 
 def later_copies(found: list[DataFrame], min_lines: int) -> DataFrame | None:
@@ -102,7 +112,7 @@ def later_copies(found: list[DataFrame], min_lines: int) -> DataFrame | None:
 
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_lines: int = MIN_LINES, min_words: int = MIN_WORDS) -> DataFrame:
-    """id, n_lines, n_removed and text (without later copies of repeated runs) of each row of docs."""
+    """id, n_lines (with blank ones), n_removed and text (without later copies of repeated runs) of each row of docs."""
     rows = numbered(docs, id_col, text_col)
     runs = later_copies(levels(line_places(rows), min_lines), min_lines)
     if runs is None:
@@ -120,8 +130,9 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_l
                 text = text.as_py()
                 lines = [] if text is None else text.split("\n")
                 gone = set()
+                places = [i for i, x in enumerate(lines) if x.strip(BLANK)] if own else []
                 for r in own or []:
-                    there = range(r["line"], r["line"] + r["length"])
+                    there = places[r["line"] : r["line"] + r["length"]]
                     if r["length"] >= min_lines or sum(len(word.findall(lines[i])) for i in there) >= min_words:
                         gone.update(there)
                 n_lines.append(len(lines))
