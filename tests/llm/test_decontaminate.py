@@ -1,5 +1,7 @@
 import random
 
+import numpy as np
+
 from treefacts.llm import decontaminate
 
 
@@ -56,3 +58,23 @@ def test_odd_rows(spark, odd, none, tiny):
     assert decontaminate.contaminated(none, bench).count() == 0
     assert decontaminate.keep_clean(odd, bench).columns == odd.columns
     assert decontaminate.contaminated(odd, bench.limit(0)).count() == 0
+
+
+def test_passages_at_every_offset():
+    rng = random.Random(5)
+    item = "".join(rng.choice("abcdefghijklmnopqrstuvw") for _ in range(300))
+    other = lambda n: "".join(rng.choice("ABCDEFGHIJKLMNOPQ0123456789") for _ in range(n))
+    index = decontaminate.Index([(1, item), (2, item[:60])])
+
+    def found(passage):
+        raw = f"{other(70)}{passage}{other(50)}".encode()
+        rows = index.matches(*decontaminate.normal(np.frombuffer(raw, np.uint8), np.array([0, len(raw)])))
+        return {r[1]: r[2] for r in rows}
+
+    for s in range(201):
+        assert found(item[s : s + 100])[1] == 0
+        edited = list(item[s : s + 100])
+        for k in range(8):
+            edited[6 + 12 * k] = ("", "z", edited[6 + 12 * k] + "z")[(s + k) % 3]  # deleted, replaced, one more
+        assert 0 < found("".join(edited))[1] <= 8
+        assert 1 not in found(item[s : s + 80])

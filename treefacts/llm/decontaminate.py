@@ -1,10 +1,12 @@
 """Benchmark decontamination by q-gram lemma filtering.
 
-Benchmark items are cut into overlapping windows of WINDOW characters (bytes of UTF-8, lower-cased in A-Z, runs of white space
-as one space). A window of w characters may differ from a passage by e = rate * w edits; then they share at least
-w - q + 1 - q e q-grams, on 2 e + 1 neighbouring diagonals. Shared q-grams of whole texts are counted in bands of
-twice as many diagonals that overlap by half, so one band has them all; regions that reach the bound are verified by an
-alignment inside the band.
+Each window of WINDOW characters of an item counts, at every offset (bytes of UTF-8, lower-cased in A-Z, runs of white
+space as one space); a shorter item is one window. A window of w characters may differ from a passage by e = rate * w
+edits; then they share at least w - q + 1 - q e q-grams, on 2 e + 1 neighbouring diagonals. Shared q-grams of whole texts
+and whole items are taken in bands of twice as many diagonals that overlap by half, so one band has them all. Windows are
+never listed: places of shared q-grams give those that reach the bound, and an edit breaks q-grams of at most q places
+in a row, which drops more. A run of shared q-grams as long as a window is an exact copy; what is left is verified by
+alignments inside the band, many windows at once.
 
 The items are broadcast in parts of at most PART_BYTES; more parts mean more passes over the texts. Null or empty texts
 and items match nothing, nor do items of fewer than q characters. Repeated rows match each on its own.
@@ -26,6 +28,7 @@ WINDOW = 100
 RATE = 0.08
 PART_BYTES = 8_000_000
 FILTER_BITS = 22
+BATCH = 2048
 SPACE = np.uint8(32)
 
 
@@ -47,66 +50,72 @@ def normal_text(text: str | None) -> bytes:
     return normal(raw, np.array([0, len(raw)]))[0].tobytes().strip()
 
 
-def aligned(pattern: bytes, text: bytes, low: int, high: int, budget: int) -> int | None:
-    """Least edits of the pattern against any part of the text, over diagonals low to high (text less pattern place)
-    and a budget beside them; None if over the budget."""
-    low, high, far = low - budget, high + budget, budget + 1
-    width = high - low + 1
-    row = [0 if 0 <= d <= len(text) else far for d in range(low, high + 1)]  # an empty pattern matches anywhere
-    for i, c in enumerate(pattern, 1):
-        new, left, least = [far] * width, far, far
-        for k in range(width):
-            j = i + low + k  # characters of the text so far
-            best = far
-            if 0 <= j <= len(text):
-                if j > 0:
-                    best = row[k] + (text[j - 1] != c)
-                if k + 1 < width and row[k + 1] + 1 < best:
-                    best = row[k + 1] + 1
-                if left + 1 < best:
-                    best = left + 1
-            new[k] = left = min(best, far)
-            least = min(least, left)
-        row = new
-        if least > budget:
-            return None
-    return min(row) if min(row) <= budget else None
+def aligned(patterns: np.ndarray, data: np.ndarray, start: np.ndarray, end: np.ndarray, low: np.ndarray, width: int, budget: int) -> np.ndarray:
+    """For each row of patterns, least edits against any part of data[start:end] over the diagonals (data less pattern
+    place) from low on, so many; budget + 1 if over the budget."""
+    size, far = patterns.shape[1], budget + 1
+    at = low[:, None] + np.arange(size + width + 1)
+    text = data[np.clip(at, 0, len(data) - 1)]
+    inside = (at >= start[:, None]) & (at <= end[:, None])
+    slope = np.arange(width, dtype=np.int16)
+    out, left = np.full(len(patterns), far), np.arange(len(patterns))
+    row = np.where(inside[:, :width], 0, far).astype(np.int16)  # an empty pattern matches anywhere
+    for i in range(1, size + 1):
+        new = row + (text[:, i - 1 : i - 1 + width] != patterns[:, i - 1 : i])
+        np.minimum(new[:, :-1], row[:, 1:] + 1, out=new[:, :-1])
+        new = np.minimum.accumulate(new - slope, axis=1) + slope
+        row = np.where(inside[:, i : i + width], np.minimum(new, far), far).astype(np.int16)
+        if i % 8 == 0 or i == size:
+            good = row.min(axis=1) <= budget
+            if not good.all():
+                row, text, inside, patterns, left = row[good], text[good], inside[good], patterns[good], left[good]
+            if not len(left):
+                return out
+    out[left] = row.min(axis=1)
+    return out
 
 
 class Index:
-    """Windows of items, and their q-grams in order of fingerprint."""
+    """Items, and their q-grams in order of fingerprint."""
 
     def __init__(self, items: list[tuple[int, str]], q: int = Q, window: int = WINDOW, rate: float = RATE):
-        self.q, self.windows, self.item, self.budget = q, [], [], []
+        self.q, self.whole, self.item, limits = q, [], [], []
         for item_id, text in items:
             whole = normal_text(text)
             if len(whole) < q:
                 continue
-            step = window // 2
-            starts = [0] if len(whole) <= window else sorted({*range(0, len(whole) - window + 1, step), len(whole) - window})
-            for s in starts:
-                own = whole[s : s + window]
-                e = int(rate * len(own))
-                while e and len(own) - q + 1 - q * e < 1:
-                    e -= 1
-                self.windows.append(own)
-                self.item.append(item_id)
-                self.budget.append(e)
-        sizes = np.array([len(x) for x in self.windows], np.int64)
-        self.budgets = np.array(self.budget, np.int64)
-        self.least = np.maximum(sizes - q + 1 - q * self.budgets, 1)
-        offsets = np.concatenate(([0], np.cumsum(sizes))).astype(np.int64)
-        data = np.frombuffer(b"".join(self.windows), np.uint8)
-        at, owner = self.starts(offsets)
-        prints = self.prints(data, at)
+            size = min(len(whole), window)
+            e = int(rate * size)
+            while e and size - q + 1 - q * e < 1:
+                e -= 1
+            self.whole.append(whole)
+            self.item.append(item_id)
+            limits.append(e)
+        self.sizes = np.array([len(x) for x in self.whole], np.int64)
+        self.spans = np.minimum(self.sizes, window)
+        self.budgets = np.array(limits, np.int64)
+        self.least = np.maximum(self.spans - q + 1 - q * self.budgets, 1)
+        self.longest = int(self.sizes.max(initial=0))
+        self.offsets = np.concatenate(([0], np.cumsum(self.sizes))).astype(np.int64)
+        self.data = np.frombuffer(b"".join(self.whole), np.uint8)
+        at, owner = self.starts(self.offsets)
+        prints = self.prints(self.data, at)
         order = np.argsort(prints, kind="stable")
         self.grams, first, counts = np.unique(prints[order], return_index=True, return_counts=True)
         self.first, self.counts = first, counts
-        self.owner, self.place = owner[order], (at - offsets[owner])[order]
+        self.owner, self.place = owner[order], (at - self.offsets[owner])[order]
         self.filter = np.zeros(1 << FILTER_BITS, bool)
         self.filter[self.grams >> np.uint64(64 - FILTER_BITS)] = True
         self.band = int(self.budgets.max(initial=0)) * 2 + 1
 
+    @property
+    def windows(self) -> list[bytes]:
+        return [x[s : s + n] for x, n in zip(self.whole, self.spans.tolist(), strict=True) for s in range(len(x) - n + 1)]
+
+    @property
+    def budget(self) -> list[int]:
+        return np.repeat(self.budgets, self.sizes - self.spans + 1).tolist()
+
     def starts(self, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Where whole q-grams begin, and in which text."""
         n = np.maximum(np.diff(offsets) - self.q + 1, 0)
@@ -135,36 +144,78 @@ class Index:
         hit = np.repeat(np.arange(len(some)), counts)
         nth = np.arange(len(hit)) - np.repeat(np.concatenate(([0], np.cumsum(counts)[:-1])), counts)
         posting = self.first[place][hit] + nth
-        window = self.owner[posting]
-        who = text[some][hit]
-        diagonal = at[some][hit] - offsets[:-1][who] - self.place[posting] + 2 * WINDOW  # never negative
-        found: dict[tuple[int, int], list[int]] = {}
-        wide = 2 * self.band
-        top = int(diagonal.max()) // wide + 2
-        for shift in (0, self.band):
-            band = (diagonal + shift) // wide
-            key = (who * len(self.windows) + window) * top + band
-            keys, n = np.unique(key, return_counts=True)
-            owner = keys // top
-            enough = n >= self.least[owner % len(self.windows)]
-            for k, o in zip((keys[enough] % top).tolist(), owner[enough].tolist(), strict=True):
-                found.setdefault((o // len(self.windows), o % len(self.windows)), []).append(k * wide - shift - 2 * WINDOW)
-        out = []
+        n_items, who, own, place = len(self.item), text[some][hit], self.owner[posting], self.place[posting]
+        diagonal = at[some][hit] - offsets[:-1][who] - place + self.longest  # never negative
+        pair = who * n_items + own
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
-        for (t, w), lows in sorted(found.items()):
-            start, end, pattern, e = int(offsets[t]), int(offsets[t + 1]), self.windows[w], self.budget[w]
-            for low in sorted(set(lows)):
-                a = max(start, start + low - e)
-                b = min(end, start + low + wide + len(pattern) + e)
-                region = data[a:b].tobytes()
-                exact = region.find(pattern)
-                edits = 0 if exact >= 0 else aligned(pattern, region, start + low - a, start + low + wide - 1 - a, e)
-                if edits is not None:
-                    key2 = (t, self.item[w])
-                    if key2 not in best or edits < best[key2][0]:
-                        best[key2] = (edits, a - start, b - start)
-        out = [(t, item, *v) for (t, item), v in sorted(best.items())]
-        return out
+        exact = []
+        order = np.lexsort((place, diagonal, pair))
+        x, d, p = pair[order], diagonal[order], place[order]
+        far = self.spans[x % n_items] - self.q
+        end = np.minimum(np.arange(len(x)) + far, len(x) - 1)
+        runs = np.flatnonzero((x[end] == x) & (d[end] == d) & (p[end] - p == far))
+        for k in runs[np.unique(x[runs], return_index=True)[1]].tolist():
+            t, o = divmod(int(x[k]), n_items)
+            a, size = int(p[k] + d[k]) - self.longest, int(self.spans[o])
+            if data[offsets[t] + a : offsets[t] + a + size].tobytes() == self.whole[o][p[k] : p[k] + size]:
+                exact.append(x[k])
+                best.setdefault((t, self.item[o]), (0, a, a + size))
+        rest = ~np.isin(pair, np.array(exact, np.int64))
+        pair, diagonal, place = pair[rest], diagonal[rest], place[rest]
+        wide = 2 * self.band
+        for shift in (0, self.band) if len(pair) else ():
+            for t, o, s, low in self.candidates(pair, (diagonal + shift) // wide, place):
+                low = low * wide - shift - self.longest + s
+                e, size = int(self.budgets[o[0]]), int(self.spans[o[0]])
+                patterns = self.data[(self.offsets[o] + s)[:, None] + np.arange(size)]
+                edits = aligned(patterns, data, offsets[t], offsets[t + 1], offsets[t] + low - e, wide + 2 * e, e)
+                for k in np.flatnonzero(edits <= e).tolist():
+                    key, length = (int(t[k]), self.item[o[k]]), int(offsets[t[k] + 1] - offsets[t[k]])
+                    if key not in best or edits[k] < best[key][0]:
+                        best[key] = (int(edits[k]), max(0, int(low[k]) - e), min(length, int(low[k]) + wide + size + e))
+        return [(t, item, *v) for (t, item), v in sorted(best.items(), key=lambda x: (x[0][0], x[0][1] is not None, x[0][1] or 0))]
+
+    def candidates(self, pair: np.ndarray, band: np.ndarray, place: np.ndarray) -> Iterator[tuple[np.ndarray, ...]]:
+        """Text, item, first place and band of windows that may be within the budget, in groups of one length."""
+        n_items, q, stride = len(self.item), self.q, self.longest + 1
+        top = int(band.max()) + 1
+        keys, group = np.unique(pair * top + band, return_inverse=True)
+        places = np.unique(group * stride + place)
+        group, p = places // stride, places % stride
+        item = keys[group] // top % n_items
+        end = np.arange(len(p)) + self.least[item] - 1
+        fits = end < len(p)
+        end = np.minimum(end, len(p) - 1)
+        span = self.spans[item] - q
+        some = np.flatnonzero(fits & (group[end] == group) & (p[end] - p <= span))
+        if not len(some):
+            return
+        # windows that hold the places of some and end; each window once
+        low, high = np.maximum(p[end] - span, 0)[some], np.minimum(p, self.sizes[item] - self.spans[item])[some]
+        same = group[some][1:] == group[some][:-1]
+        low[1:] = np.where(same, np.maximum(low[1:], high[:-1] + 1), low[1:])
+        n = np.maximum(high - low + 1, 0)
+        first = np.repeat(low - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        group = np.repeat(group[some], n)
+        item = keys[group] // top % n_items
+        # least edits that break all q-grams of the window that aren't shared
+        ends = np.flatnonzero(np.append(places[1:] != places[:-1] + 1, True))
+        after = places[ends[np.searchsorted(ends, np.arange(len(places)))]] + 1
+        x, edits = group * stride + first, np.zeros(len(group), np.int64)
+        last = x + self.spans[item] - q
+        for _ in range(int(self.budgets.max()) + 1):
+            at = np.minimum(np.searchsorted(places, x), len(places) - 1)
+            x = np.where(places[at] == x, after[at], x)
+            missing = x <= last
+            edits += missing
+            x = x + q * missing
+        good = edits <= self.budgets[item]
+        group, item, first = group[good], item[good], first[good]
+        for size in np.unique(self.spans[item]).tolist():
+            of = np.flatnonzero(self.spans[item] == size)
+            for k in range(0, len(of), BATCH):
+                own = of[k : k + BATCH]
+                yield keys[group[own]] // top // n_items, item[own], first[own], keys[group[own]] % top
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", q: int = Q, window: int = WINDOW, rate: float = RATE) -> DataFrame:
