@@ -82,3 +82,28 @@ def test_odd_rows(odd, none):
     kept = jaccard.keep_one(odd, words=3, percent=90)
     assert kept.columns == odd.columns
     assert sorted((r.doc_id for r in kept.collect()), key=str) == [1, 3, 4, 5, 6, 7, 8, 9, None]
+
+
+def test_rows_of_one_id_with_unrelated_texts_stay(spark):
+    rows = [(1, "alpha beta gamma delta epsilon zeta"), (1, "quite another text of other words here"), (2, "alpha beta gamma delta epsilon zeta"), (1, "alpha beta gamma delta epsilon zeta"), (None, "x"), (3, ""), (3, "")]
+    kept = sorted(((r.doc_id, r.text) for r in jaccard.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()), key=str)
+    assert kept == sorted([(1, rows[0][1]), (1, rows[1][1]), (None, "x"), (3, ""), (3, "")], key=str)
+
+
+def test_large_family_of_near_copies(spark):
+    rng = random.Random(5)
+    base = [f"base{i}" for i in range(80)]
+    texts = {}
+    for d in range(3000):
+        words = list(base)
+        words[rng.randrange(80)] = f"own{d}"
+        texts[d] = " ".join(words)
+    texts[3000] = " ".join(f"far{i}" for i in range(80))
+    df = spark.createDataFrame([(d, t) for d, t in texts.items()], "doc_id long, text string")
+    got = {r.component_id for r in jaccard.join(df).collect()}
+    assert got == {0, 3000}
+
+
+def test_ids_that_are_no_numbers(spark):
+    df = spark.createDataFrame([("b", "one two three four five six"), ("a", "one two three four five six"), ("c", "other")], "doc_id string, text string")
+    assert {r.doc_id: r.component_id for r in jaccard.join(df).collect()} == {"a": "a", "b": "a", "c": "c"}

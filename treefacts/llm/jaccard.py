@@ -1,19 +1,26 @@
-"""Exact n-gram Jaccard self-join by token-combination prefixes, as classes of linked documents.
+"""n-gram Jaccard self-join by token-combination prefixes, as classes of linked documents.
 
-A document's tokens are its distinct k-word shingles. All documents share one order of tokens: those in more than a
-given share of documents last, otherwise by fingerprint. If two documents link, of the first e + 2 tokens of either
-(e: how many of its tokens a partner may lack) at least two are shared. Tokens are of two classes by how many
-prefixes hold them. Rare ones index alone: pairs count their shared keys against a bound. Frequent ones are combined with more
-tokens: holders of a frequent token are held against one pivot, and only pairs that also share rare tokens of what they
-differ in from the pivot go on (see Join.by_differences).
+A document's tokens are its distinct k-word shingles, as 64-bit fingerprints. All documents share one order of tokens:
+those in more than a given share of documents last, otherwise by fingerprint. If two documents link, of the first e + 2
+tokens of either (e: how many of its tokens a partner may lack) at least two are shared. Tokens are of two classes by how
+many prefixes hold them. Rare ones index alone: pairs count their shared keys against a bound. Frequent ones are combined
+with more tokens: holders of a frequent token are held against one pivot, and only pairs that also share rare tokens of
+what they differ in from the pivot go on (see Join.by_differences).
 
 Equal sets are one class from the start. Large groups of near copies never become pairs: first each document is held
 against one pivot of its keys; the links found make components, and only keys that still hold several
 components go on, first by one representative each, at last by all their documents of different components. So every
-link either is verified or joins documents that verified links join already, and the classes are exact.
+link either is verified or joins documents that verified links join already, and the classes are those of all links.
+
+Sets are held as fingerprints throughout (two of the whole set and its size for equal sets), so "all links" is up to a
+collision: among 10^12 distinct shingles the chance that a given pair of a document's 10^3 shingles collides is below 10^-13.
+
+Prefix tokens travel as binary chunks, one for each bucket of tokens and batch, not as rows; sets are compared in numpy.
+A bucket holds about BUCKET_TOKENS entries; tokens of the frequent class spread over the buckets by batch.
 
 Null, empty and wordless texts: an empty set, linked with nothing. Null ids: linked with nothing, component null. Equal ids: one
-document for each text, all in one component if the texts link. The texts are read whole; extra columns are ignored.
+document for each text, all in one component if they have words. Ids that aren't whole numbers go the same way. The texts are
+read whole; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -32,6 +39,12 @@ RARE = 32  #: prefixes that a rare token may be in
 HOT_SHARE = 1e-4  #: tokens in the prefixes of more documents than this share (and RARE) come last in the order
 BROADCAST_ROWS = 1_000_000  #: ids that are broadcast at most; more are joined
 SPREAD_ROUNDS = 3
+BUCKET_TOKENS, MOST_BUCKETS = 1 << 16, 1 << 17
+LEAST_LOCAL = 4  #: documents of a partition that hold a token before it counts as a possibly frequent one
+KEPT_TOKENS = 1 << 22  #: of a partition that are counted before those met once are dropped
+COMPARE_TOKENS = 1 << 19  #: of pairs of sets that are compared at once
+ENTRY = np.dtype([("token", np.int64), ("id", np.int64), ("n", np.int32)])
+WHOLE = ("tinyint", "smallint", "int", "bigint")
 
 
 @dataclass(frozen=True)
@@ -58,17 +71,41 @@ def heads(sorted_texts: np.ndarray, sizes: np.ndarray, length: np.ndarray) -> np
     return np.arange(len(sorted_texts)) - starts[sorted_texts] < length[sorted_texts]
 
 
-def lists(values: np.ndarray, sizes: np.ndarray) -> pa.Array:
+def chunks(values: np.ndarray, sizes: np.ndarray) -> pa.Array:
+    """Runs of the given sizes of values as binary."""
     offsets = np.zeros(len(sizes) + 1, np.int32)
-    np.cumsum(sizes, out=offsets[1:])
-    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(values.view(np.int64)))
+    np.cumsum(sizes * values.dtype.itemsize, out=offsets[1:])
+    return pa.Array.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(values))])
+
+
+def values_of(column: pa.Array, kind: type | np.dtype = np.uint64) -> tuple[np.ndarray, np.ndarray]:
+    """All values of a binary column, and how many each row has."""
+    _, offsets, data = column.buffers()
+    ends = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    raw = np.frombuffer(data, np.uint8)[ends[0] : ends[-1]] if data is not None else np.zeros(0, np.uint8)
+    return raw.view(kind), np.diff(ends) // np.dtype(kind).itemsize
 
 
 def sketch(docs: DataFrame, id_col: str, text_col: str, rule: Rule) -> DataFrame:
-    """id, n (set size), print1, print2 (of the whole set) and first tokens by fingerprint of each row."""
+    """id, n (set size), print1, print2 (of the whole set) of each row; and for each partition one row of n = -1 with the
+    tokens (often) that many of its documents have among their first, and in how many (often_n)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["id", "n", "print1", "print2", "often", "often_n"]
+        kind, n_docs, seen, n_seen = None, 0, [], 0
+        tokens_seen, counts_seen = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+
+        def counted(least: int) -> tuple[np.ndarray, np.ndarray]:
+            every = np.concatenate([tokens_seen, *seen])
+            weights = np.concatenate([counts_seen, np.ones(len(every) - len(tokens_seen), np.int64)])
+            order = np.argsort(every)
+            every, weights = every[order], weights[order]
+            first = np.flatnonzero(np.concatenate(([True], every[1:] != every[:-1]))) if len(every) else np.zeros(0, np.int64)
+            sums = np.add.reduceat(weights, first) if len(first) else weights
+            return every[first][sums >= least], sums[sums >= least]
+
         for batch in batches:
+            kind = batch.column(0).type
             for block in textcore.blocks(batch.column(1)):
                 text, tokens = textcore.shingles(block, rule.words)
                 n = np.bincount(text, minlength=block.n).astype(np.int64)
@@ -79,35 +116,117 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, rule: Rule) -> DataFrame
                     np.cumsum(textcore.mix(tokens ^ salt), out=total[1:])
                     sums.append((total[edges[1:]] - total[edges[:-1]]).view(np.int64))
                 lack = rule.may_lack(n)
-                mask = heads(text, n, np.where(n > 1, lack + 2 + lack // 4, 0))
-                first = lists(tokens[mask], np.bincount(text[mask], minlength=block.n))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(block.first, block.n), pa.array(n), pa.array(sums[0]), pa.array(sums[1]), first], names=["id", "n", "print1", "print2", "first"])
+                seen.append(tokens[heads(text, n, np.where(n > 1, lack + 2 + lack // 4, 0))])
+                n_docs, n_seen = n_docs + block.n, n_seen + len(seen[-1])
+                if n_seen > KEPT_TOKENS:
+                    (tokens_seen, counts_seen), seen, n_seen = counted(2), [], 0
+                none = pa.nulls(block.n, pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(block.first, block.n), pa.array(n), pa.array(sums[0]), pa.array(sums[1]), none, none], names=names)
+        often, often_n = counted(max(LEAST_LOCAL, int(HOT_SHARE * n_docs)))
+        if kind is not None and len(often):
+            lists = [pa.ListArray.from_arrays(pa.array([0, len(often)], pa.int32()), pa.array(x)) for x in (often.view(np.int64), often_n)]
+            yield pa.RecordBatch.from_arrays([pa.nulls(1, kind), *(pa.array([x], pa.int64()) for x in (-1, 0, 0)), *lists], names=names)
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(docs[id_col].alias("id"), docs[text_col].alias("text")).mapInArrow(run, f"id {kind}, n long, print1 long, print2 long, first array<long>")
+    return docs.select(docs[id_col].alias("id"), docs[text_col].alias("text")).mapInArrow(run, f"id {kind}, n long, print1 long, print2 long, often array<long>, often_n array<long>")
+
+
+def is_in(sorted_values: np.ndarray, x: np.ndarray) -> np.ndarray:
+    if not len(sorted_values):
+        return np.zeros(len(x), bool)
+    return sorted_values[np.minimum(np.searchsorted(sorted_values, x), len(sorted_values) - 1)] == x
 
 
 def token_lists(docs: DataFrame, rule: Rule, hot: np.ndarray | None) -> DataFrame:
-    """id and tokens of docs (id, text): the prefix in the common order, or with hot None the whole set."""
+    """id and tokens (binary) of docs (id, text): the prefix in the common order, or with hot None the whole set."""
+    sent = None if hot is None else docs.sparkSession.sparkContext.broadcast(hot)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for block in textcore.blocks(batch.column(1)):
                 text, tokens = textcore.shingles(block, rule.words)
                 n = np.bincount(text, minlength=block.n).astype(np.int64)
-                if hot is not None:
-                    if len(hot):
-                        at = np.minimum(np.searchsorted(hot, tokens), len(hot) - 1)
-                        last = hot[at] == tokens
-                        order = np.argsort(text * 2 + last, kind="stable")
-                        text, tokens = text[order], tokens[order]
+                if sent is not None:
+                    order = np.argsort(text * 2 + is_in(sent.value, tokens), kind="stable")
+                    text, tokens = text[order], tokens[order]
                     mask = heads(text, n, np.where(n > 1, rule.may_lack(n) + 2, 0))
                     text, tokens = text[mask], tokens[mask]
-                found = lists(tokens, np.bincount(text, minlength=block.n))
+                found = chunks(tokens, np.bincount(text, minlength=block.n))
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(block.first, block.n), found], names=["id", "tokens"])
 
     kind = docs.schema["id"].dataType.simpleString()
-    return docs.mapInArrow(run, f"id {kind}, tokens array<long>")
+    return docs.mapInArrow(run, f"id {kind}, tokens binary")
+
+
+def shared_entries(lists: DataFrame, hot: np.ndarray, n_tokens: int) -> DataFrame:
+    """token, id, n, holders of the tokens that several rows of lists (id, n, tokens) hold; a frequent token has RARE + 1
+    holders at least, whether counted or not."""
+    bits = max(1, min(MOST_BUCKETS, n_tokens // BUCKET_TOKENS)).bit_length()
+    sent = lists.sparkSession.sparkContext.broadcast(hot)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for number, batch in enumerate(batches):
+            tokens, sizes = values_of(batch.column(2))
+            owner = np.repeat(np.arange(len(sizes)), sizes)
+            rows = np.empty(len(tokens), ENTRY)
+            rows["token"], rows["id"], rows["n"] = tokens.view(np.int64), batch.column(0).to_numpy()[owner], batch.column(1).to_numpy()[owner]
+            often = is_in(sent.value, tokens)
+            bucket = np.where(often, (owner + number) % (1 << bits), (tokens >> np.uint64(64 - bits)).astype(np.int64)) * 2 + often
+            order = np.argsort(bucket, kind="stable")
+            counts = np.bincount(bucket, minlength=2 << bits)
+            full = np.flatnonzero(counts)
+            yield pa.RecordBatch.from_arrays([pa.array(full), chunks(rows[order], counts[full])], names=["bucket", "rows"])
+
+    def table(rows: np.ndarray, holders: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(rows["token"])), pa.array(np.ascontiguousarray(rows["id"])), pa.array(rows["n"].astype(np.int64)), pa.array(holders)], names=["token", "id", "n", "holders"])
+
+    def several(parts: list[np.ndarray]) -> pa.RecordBatch:
+        rows = np.concatenate(parts)
+        rows = rows[np.argsort(rows["token"])]
+        token = rows["token"]
+        edges = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1], [True])))
+        holders = np.repeat(np.diff(edges), np.diff(edges))
+        return table(rows[holders > 1], holders[holders > 1].astype(np.int64))
+
+    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, parts = None, []
+        for batch in batches:
+            for bucket, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                rows = np.frombuffer(raw.as_buffer(), ENTRY)
+                if bucket & 1:
+                    yield table(rows, np.full(len(rows), RARE + 1, np.int64))
+                    continue
+                if bucket != at and parts:
+                    yield several(parts)
+                    parts = []
+                at = bucket
+                parts.append(rows.copy())
+        if parts:
+            yield several(parts)
+
+    dealt = lists.select("id", "n", "tokens").mapInArrow(deal, "bucket long, rows binary").repartition("bucket").sortWithinPartitions("bucket")
+    return dealt.mapInArrow(gather, "token long, id long, n long, holders long")
+
+
+def shared_counts(a: np.ndarray, na: np.ndarray, b: np.ndarray, nb: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For each pair of sets how many values they share; and masks of the values of a and of b that aren't shared."""
+    row = np.concatenate((np.repeat(np.arange(len(na)), na), np.repeat(np.arange(len(nb)), nb)))
+    every = np.concatenate((a, b))
+    order = np.lexsort((every, row))
+    same = (row[order][1:] == row[order][:-1]) & (every[order][1:] == every[order][:-1])
+    hit = order[1:][same]
+    alone = np.ones(len(every), bool)
+    alone[hit] = alone[order[:-1][same]] = False
+    return np.bincount(row[hit], minlength=len(na)), alone[: len(a)], alone[len(a) :]
+
+
+def slices(na: np.ndarray, nb: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Ranges of rows of about COMPARE_TOKENS values, a row at least."""
+    ends, i = np.cumsum(na + nb), 0
+    while i < len(na):
+        j = max(i + 1, int(np.searchsorted(ends, (ends[i - 1] if i else 0) + COMPARE_TOKENS, side="right")))
+        yield i, j
+        i = j
 
 
 def of_ids(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -117,47 +236,60 @@ def of_ids(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 class Join:
+    """Over a table whose ids are whole numbers, each id once or null."""
+
     def __init__(self, docs: DataFrame, id_col: str, text_col: str, rule: Rule):
+        common.ship(docs.sparkSession)
         self.rule, self.spark = rule, docs.sparkSession
-        self.texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-        self.sketch = common.materialise(sketch(docs, id_col, text_col, rule), "sketch")
-        self.base = common.materialise(self.sketch.drop("first"), "sets-of-rows")
+        docs = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].alias("text"))
+        self.texts = docs.where("id is not null")
+        self.sketch = common.materialise(sketch(docs, "id", "text", rule), "sketch")
+        self.base = self.sketch.where("n >= 0").select("id", "n", "print1", "print2")
         # of the documents of one set the smallest id stands for all
         self.sets = common.materialise(self.base.where("n > 0 and id is not null").groupBy("print1", "print2", "n").agg(F.min("id").alias("rep")), "sets")
         self.component: DataFrame | None = None
 
     def hot_tokens(self) -> np.ndarray:
-        """Tokens in the first tokens of over HOT_SHARE of the documents: at most as many as the mean number of first
-        tokens over HOT_SHARE, whatever the number of documents."""
+        """Tokens in the first tokens of over HOT_SHARE of the documents, as far as partitions have met them often: at most
+        as many as the mean number of first tokens over HOT_SHARE, whatever the number of documents. They only change
+        the order, so it is no matter if one is missed."""
         least = max(RARE, int(HOT_SHARE * self.base.count()))
-        found = self.sketch.select(F.explode("first").alias("token")).groupBy("token").count().where(F.col("count") > least)
-        return np.sort(np.array([r[0] for r in found.select("token").collect()], np.int64).view(np.uint64))
+        found = self.sketch.where("n < 0").select(F.explode(F.arrays_zip("often", "often_n")).alias("x")).groupBy("x.often").agg(F.sum("x.often_n").alias("n")).where(F.col("n") > least)
+        return np.sort(np.array([r[0] for r in found.select("often").collect()], np.int64).view(np.uint64))
 
     def prefixes(self) -> DataFrame:
         """token, id, n, holders: of tokens that several representatives have in their prefixes."""
         hot = self.hot_tokens()
-        common.discard(self.sketch)
-        common.free(self.spark)
         reps = self.sets.where("n > 1").select(F.col("rep").alias("id"), "n")
-        lists = common.materialise(token_lists(self.texts, self.rule, hot).join(reps, "id"), "prefixes")
-        rows = lists.select("id", "n", F.explode("tokens").alias("token"))
-        shared = rows.groupBy("token").agg(F.min("id").alias("low"), F.max("id").alias("high"), F.count("*").alias("holders")).where("low < high").select("token", "holders")
-        out = common.materialise(rows.join(shared, "token"), "shared-prefixes")
-        common.discard(lists)
-        common.free(self.spark)
-        return out
+        n_tokens = reps.agg(F.sum(F.floor(F.lit(100 - self.rule.percent) * F.col("n") / 100) + 2)).first()[0] or 0
+        return common.materialise(shared_entries(token_lists(self.texts, self.rule, hot).join(reps, "id"), hot, n_tokens), "shared-prefixes")
+
+    def both_sets(self, pairs: DataFrame, a: str, b: str) -> tuple[DataFrame, DataFrame]:
+        """pairs with the sets (sa, sb) of two ids, and the written sets."""
+        ids = pairs.select(F.col(a).alias("id")).union(pairs.select(F.col(b).alias("id"))).distinct()
+        sets = common.materialise(token_lists(of_ids(self.texts, ids), self.rule, None), "pair-sets")
+        left, right = sets.select(F.col("id").alias(a), F.col("tokens").alias("sa")), sets.select(F.col("id").alias(b), F.col("tokens").alias("sb"))
+        return pairs.join(left, a).join(right, b).select(*pairs.columns, "sa", "sb"), sets
 
     def verify(self, pairs: DataFrame) -> DataFrame:
         """Links among pairs (a, b): those whose whole sets are close enough."""
+        percent = self.rule.percent
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                (sa, na), (sb, nb) = values_of(batch.column(2)), values_of(batch.column(3))
+                ea, eb = np.concatenate(([0], np.cumsum(na))), np.concatenate(([0], np.cumsum(nb)))
+                good = [np.zeros(0, bool)]
+                for i, j in slices(na, nb):
+                    shared, _, _ = shared_counts(sa[ea[i] : ea[j]], na[i:j], sb[eb[i] : eb[j]], nb[i:j])
+                    both = na[i:j] + nb[i:j]
+                    good.append((both > 0) & (100 * shared >= percent * (both - shared)))
+                yield batch.select([0, 1]).filter(pa.array(np.concatenate(good)))
+
         pairs = common.materialise(pairs.select("a", "b").distinct(), "pairs")
-        ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-        sets = common.materialise(token_lists(of_ids(self.texts, ids), self.rule, None), "pair-sets")
-        a, b = sets.select(F.col("id").alias("a"), F.col("tokens").alias("ta")), sets.select(F.col("id").alias("b"), F.col("tokens").alias("tb"))
-        shared = F.size(F.array_intersect("ta", "tb"))
-        found = pairs.join(a, "a").join(b, "b").select("a", "b", shared.alias("shared"), (F.size("ta") + F.size("tb")).alias("both"))
-        links = common.materialise(found.where("both > 0").where(100 * F.col("shared") >= self.rule.percent * (F.col("both") - F.col("shared"))).select("a", "b"), "new-links")
+        joined, sets = self.both_sets(pairs, "a", "b")
+        links = common.materialise(joined.mapInArrow(run, "a long, b long"), "new-links")
         common.discard(pairs, sets)
-        common.free(self.spark)
         return links
 
     def add(self, pairs: DataFrame) -> bool:
@@ -226,16 +358,25 @@ class Join:
         """
         pivot = frequent.groupBy("token").agg(F.min("id").alias("pivot"))
         held = common.materialise(frequent.join(pivot, "token").select("id", "n", "component", "pivot").distinct(), "pivot-pairs")
-        ids = held.select("id").union(held.select("pivot")).distinct()
-        sets = common.materialise(token_lists(of_ids(self.texts, ids), self.rule, None), "pivot-sets")
-        own, theirs = sets.withColumnRenamed("tokens", "own"), sets.select(F.col("id").alias("pivot"), F.col("tokens").alias("theirs"))
-        both = held.join(own, "id").join(theirs, "pivot")
-        difference = F.concat(F.array_except("own", "theirs"), F.array_except("theirs", "own"))
-        size = F.size("own") + F.size("theirs")
-        found = both.select("id", "n", "component", "pivot", difference.alias("difference"), size.alias("size"))
-        union = (F.col("size") + F.size("difference")) / 2
-        inside = 100 * (F.col("size") - union) >= self.rule.percent * union
-        found = common.materialise(found.select("id", "n", "component", "pivot", inside.alias("inside"), "difference"), "differences")
+        percent = self.rule.percent
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                (sa, na), (sb, nb) = values_of(batch.column(4)), values_of(batch.column(5))
+                ea, eb = np.concatenate(([0], np.cumsum(na))), np.concatenate(([0], np.cumsum(nb)))
+                for i, j in slices(na, nb):
+                    own, theirs = sa[ea[i] : ea[j]], sb[eb[i] : eb[j]]
+                    shared, alone_a, alone_b = shared_counts(own, na[i:j], theirs, nb[i:j])
+                    row = np.concatenate((np.repeat(np.arange(j - i), na[i:j])[alone_a], np.repeat(np.arange(j - i), nb[i:j])[alone_b]))
+                    order = np.argsort(row, kind="stable")
+                    values = np.concatenate((own[alone_a], theirs[alone_b]))[order]
+                    offsets = np.concatenate(([0], np.cumsum(np.bincount(row, minlength=j - i)))).astype(np.int32)
+                    inside = 100 * shared >= percent * (na[i:j] + nb[i:j] - shared)
+                    lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values.view(np.int64)))
+                    yield pa.RecordBatch.from_arrays([*batch.slice(i, j - i).columns[:4], pa.array(inside), lists], names=["id", "n", "component", "pivot", "inside", "difference"])
+
+        both, sets = self.both_sets(held, "id", "pivot")
+        found = common.materialise(both.mapInArrow(run, "id long, n long, component long, pivot long, inside boolean, difference array<long>"), "differences")
         common.discard(sets, held)
         common.free(self.spark)
 
@@ -284,16 +425,35 @@ class Join:
         return found.select("id", F.col("n").alias("n_shingles"), F.when(F.col("id").isNull(), F.col("id")).otherwise(F.coalesce("rep", "id")).alias("component_id"))
 
 
+def vertices(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """id, text, vertex of each row: a number for each id and text, null where the id is."""
+    rows = docs.select(docs[id_col].alias("id"), docs[text_col].alias("text"))
+    return rows.withColumn("vertex", F.when(F.col("id").isNotNull(), F.xxhash64("id", "text")))
+
+
+def vertex_classes(rows: DataFrame, rule: Rule) -> DataFrame:
+    """vertex, n_shingles, component_id (a vertex) of each vertex of rows."""
+    each = rows.where("vertex is not null").groupBy("vertex").agg(F.first("text").alias("text"))
+    return common.materialise(Join(each, "vertex", "text", rule).classes(), "vertex-classes").withColumnRenamed("id", "vertex")
+
+
+def one_row_ids(docs: DataFrame, id_col: str) -> bool:
+    """Whether ids are whole numbers, each of one row."""
+    if docs.schema[id_col].dataType.simpleString() not in WHOLE:
+        return False
+    return docs.where(docs[id_col].isNotNull()).groupBy(docs[id_col]).count().where("count > 1").isEmpty()
+
+
 def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:
     """id, n_shingles (set size) and component_id (smallest id that links reach, its own included) of each row of docs."""
     rule = Rule(words, percent)
-    ids = docs.where(docs[id_col].isNotNull()).select(docs[id_col].alias("id"))
-    if ids.groupBy("id").count().where("count > 1").isEmpty():
-        return Join(docs, id_col, text_col, rule).classes().withColumnRenamed("id", id_col)
+    kind = docs.schema[id_col].dataType
+    if one_row_ids(docs, id_col):
+        found = Join(docs, id_col, text_col, rule).classes()
+        return found.select(F.col("id").cast(kind).alias(id_col), "n_shingles", F.col("component_id").cast(kind).alias("component_id"))
     # ids that stand for several rows: each text of an id is a vertex, and those of one id that have words are linked
-    rows = docs.select(docs[id_col].alias("id"), docs[text_col].alias("text")).withColumn("vertex", F.when(F.col("id").isNotNull(), F.xxhash64("id", "text")))
-    vertices = rows.where("vertex is not null").groupBy("vertex").agg(F.first("text").alias("text"))
-    found = common.materialise(Join(vertices, "vertex", "text", rule).classes(), "vertex-classes").withColumnRenamed("id", "vertex")
+    rows = vertices(docs, id_col, text_col)
+    found = vertex_classes(rows, rule)
     own = common.materialise(rows.select("id", "vertex").join(found, "vertex", "left"), "row-classes")
     full = own.where("n_shingles > 0")
     least = full.groupBy("id").agg(F.min("vertex").alias("b"))
@@ -301,19 +461,25 @@ def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words:
     own = common.materialise(own.join(label.withColumnRenamed("id", "vertex"), "vertex", "left").withColumn("component", F.coalesce("component", "vertex")), "row-components")
     lowest = own.where("n_shingles > 0").groupBy("component").agg(F.min("id").alias("component_id"))
     empty = rows.where("vertex is null").select(F.col("id"), "text")
-    sizes = sketch(empty, "id", "text", rule).select("id", F.col("n").alias("n_shingles"), F.col("id").alias("component_id"))
+    sizes = sketch(empty, "id", "text", rule).where("n >= 0").select("id", F.col("n").alias("n_shingles"), F.col("id").alias("component_id"))
     named = own.drop("component_id").where("vertex is not null").join(lowest, "component", "left")
     return named.select("id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id")).unionByName(sizes).withColumnRenamed("id", id_col)
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of docs whose id is that of their component: one of each group (the first by text, where rows share an id); rows
-    without an id all stay."""
-    found = common.materialise(join(docs, id_col, text_col, words, percent), "classes")
-    gone = found.where(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("gone_id")).distinct()
-    few = gone.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    kept = docs.join(F.broadcast(gone) if few else gone, docs[id_col] == F.col("gone_id"), "left_anti")
-    if found.where(F.col(id_col).isNotNull()).groupBy(id_col).count().where("count > 1").isEmpty():
-        return kept
-    none = kept.where(F.col(id_col).isNull())
-    return kept.where(F.col(id_col).isNotNull()).dropDuplicates([id_col]).unionByName(none)
+    """One row of each group of docs, that of the smallest id (of rows that share it: one of any text that the group has); rows
+    without an id or words all stay. Rows that share an id but link with nothing of each other are groups of their own."""
+    if one_row_ids(docs, id_col):
+        found = common.materialise(join(docs, id_col, text_col, words, percent), "classes")
+        gone = found.where(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("gone_id"))
+        few = gone.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+        return docs.join(F.broadcast(gone) if few else gone, docs[id_col] == F.col("gone_id"), "left_anti")
+    rows = vertices(docs, id_col, text_col)
+    found = vertex_classes(rows, Rule(words, percent)).where("n_shingles > 0")
+    placed = found.join(rows.where("vertex is not null").groupBy("vertex").agg(F.min("id").alias("id")), "vertex")
+    best = placed.groupBy("component_id").agg(F.min(F.struct("id", "vertex")).alias("best")).select(F.col("best.vertex").alias("_kept"))
+    marked = docs.withColumn("_vertex", F.when(docs[id_col].isNotNull(), F.xxhash64(docs[id_col], docs[text_col])))
+    wordy = common.materialise(found.select(F.col("vertex").alias("_wordy")), "vertices-with-words")
+    one = marked.join(best, F.col("_vertex") == F.col("_kept"), "left_semi").dropDuplicates(["_vertex"])
+    rest = marked.join(wordy, F.col("_vertex") == F.col("_wordy"), "left_anti")
+    return one.unionByName(rest).drop("_vertex")
