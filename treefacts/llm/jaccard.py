@@ -1,8 +1,9 @@
 """n-gram Jaccard self-join by token-combination prefixes, as classes of linked documents.
 
 A document's tokens are its distinct k-word shingles, as 64-bit fingerprints. All documents share one order of tokens:
-those in more than a given share of documents last, otherwise by fingerprint. If two documents link, of the first e + 2
-tokens of either (e: how many of its tokens a partner may lack) at least two are shared. Tokens are of two classes by how
+those in more than a given share of documents last, otherwise by fingerprint. A prefix has e + t tokens (e: how many of its
+n tokens a partner may lack; t: 2 and n / STRETCH more). If two documents link, they share at least t tokens of the prefix
+that ends first in the order, so documents with fewer keys that others hold drop out. Tokens are of two classes by how
 many prefixes hold them. Rare ones index alone: pairs count their shared keys against a bound. Frequent ones are combined
 with more tokens: holders of a frequent token are held against one pivot, and only pairs that also share rare tokens of
 what they differ in from the pivot go on (see Join.by_differences).
@@ -36,7 +37,8 @@ from pyspark.sql import functions as F
 from treefacts.llm import common, graph, textcore
 
 RARE = 32  #: prefixes that a rare token may be in
-HOT_SHARE = 1e-4  #: tokens in the prefixes of more documents than this share (and RARE) come last in the order
+HOT_SHARE = 2e-4  #: tokens of more documents than this share (and RARE) come last in the order
+STRETCH = 50  #: one more token of a prefix for so many of the set
 BROADCAST_ROWS = 1_000_000  #: ids that are broadcast at most; more are joined
 SPREAD_ROUNDS = 3
 BUCKET_TOKENS, MOST_BUCKETS = 1 << 16, 1 << 17
@@ -58,6 +60,17 @@ class Rule:
         """How many of n tokens a partner may lack."""
         return (100 - self.percent) * n // 100
 
+    def prefix(self, n: np.ndarray) -> np.ndarray:
+        """How long the prefix of a set of n tokens is; a set of one token needs none."""
+        return np.where(n > 1, np.minimum(n, self.may_lack(n) + 2 + n // STRETCH), 0)
+
+    def prefix_of(self, n: Column) -> Column:
+        return F.least(n, F.floor(F.lit(100 - self.percent) * n / 100) + 2 + F.floor(n / STRETCH))
+
+    def least_keys(self, n: Column) -> Column:
+        """How many prefix tokens a set of n shares at least with any partner: t of the smallest partner there may be."""
+        return F.least(n, 2 + F.floor(F.lit(self.percent) * n / (100 * STRETCH)))
+
     def shared_at_least(self, a: Column, b: Column) -> Column:
         return F.ceil(self.percent * (a + b) / F.lit(100 + self.percent) - F.lit(1e-9))
 
@@ -88,7 +101,7 @@ def values_of(column: pa.Array, kind: type | np.dtype = np.uint64) -> tuple[np.n
 
 def sketch(docs: DataFrame, id_col: str, text_col: str, rule: Rule) -> DataFrame:
     """id, n (set size), print1, print2 (of the whole set) of each row; and for each partition one row of n = -1 with the
-    tokens (often) that many of its documents have among their first, and in how many (often_n)."""
+    tokens (often) that many of its documents have, and in how many (often_n)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["id", "n", "print1", "print2", "often", "often_n"]
@@ -115,8 +128,7 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, rule: Rule) -> DataFrame
                     total = np.zeros(len(tokens) + 1, np.uint64)
                     np.cumsum(textcore.mix(tokens ^ salt), out=total[1:])
                     sums.append((total[edges[1:]] - total[edges[:-1]]).view(np.int64))
-                lack = rule.may_lack(n)
-                seen.append(tokens[heads(text, n, np.where(n > 1, lack + 2 + lack // 4, 0))])
+                seen.append(tokens)
                 n_docs, n_seen = n_docs + block.n, n_seen + len(seen[-1])
                 if n_seen > KEPT_TOKENS:
                     (tokens_seen, counts_seen), seen, n_seen = counted(2), [], 0
@@ -149,7 +161,7 @@ def token_lists(docs: DataFrame, rule: Rule, hot: np.ndarray | None) -> DataFram
                 if sent is not None:
                     order = np.argsort(text * 2 + is_in(sent.value, tokens), kind="stable")
                     text, tokens = text[order], tokens[order]
-                    mask = heads(text, n, np.where(n > 1, rule.may_lack(n) + 2, 0))
+                    mask = heads(text, n, rule.prefix(n))
                     text, tokens = text[mask], tokens[mask]
                 found = chunks(tokens, np.bincount(text, minlength=block.n))
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(block.first, block.n), found], names=["id", "tokens"])
@@ -250,18 +262,19 @@ class Join:
         self.component: DataFrame | None = None
 
     def hot_tokens(self) -> np.ndarray:
-        """Tokens in the first tokens of over HOT_SHARE of the documents, as far as partitions have met them often: at most
-        as many as the mean number of first tokens over HOT_SHARE, whatever the number of documents. They only change
-        the order, so it is no matter if one is missed."""
+        """Tokens of over HOT_SHARE of the documents, as far as partitions have met them often: at most as many as the mean
+        size of a set over HOT_SHARE (so 12 MB for sets of 300), whatever the number of documents. They only change the
+        order, so it is no matter if one is missed."""
         least = max(RARE, int(HOT_SHARE * self.base.count()))
         found = self.sketch.where("n < 0").select(F.explode(F.arrays_zip("often", "often_n")).alias("x")).groupBy("x.often").agg(F.sum("x.often_n").alias("n")).where(F.col("n") > least)
-        return np.sort(np.array([r[0] for r in found.select("often").collect()], np.int64).view(np.uint64))
+        tokens = found.select("often").toArrow().column(0).to_numpy()
+        return np.sort(tokens.astype(np.int64).view(np.uint64))
 
     def prefixes(self) -> DataFrame:
         """token, id, n, holders: of tokens that several representatives have in their prefixes."""
-        hot = self.hot_tokens()
+        hot = self.hot = self.hot_tokens()
         reps = self.sets.where("n > 1").select(F.col("rep").alias("id"), "n")
-        n_tokens = reps.agg(F.sum(F.floor(F.lit(100 - self.rule.percent) * F.col("n") / 100) + 2)).first()[0] or 0
+        n_tokens = reps.agg(F.sum(self.rule.prefix_of(F.col("n")))).first()[0] or 0
         return common.materialise(shared_entries(token_lists(self.texts, self.rule, hot).join(reps, "id"), hot, n_tokens), "shared-prefixes")
 
     def both_sets(self, pairs: DataFrame, a: str, b: str) -> tuple[DataFrame, DataFrame]:
@@ -304,22 +317,22 @@ class Join:
         return True
 
     def mixed(self, rows: DataFrame) -> DataFrame:
-        """Rows of keys that hold several components still."""
+        """Rows of keys that hold several components still, of documents with enough of them."""
         own = rows.drop("component")
         if self.component is None:
             own = own.withColumn("component", F.col("id"))
         else:
             own = own.join(self.component, "id", "left").withColumn("component", F.coalesce("component", "id"))
         several = own.groupBy("token").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("token")
-        out = common.materialise(own.join(several, "token", "left_semi"), "mixed-prefixes")
+        keyed = own.join(several, "token", "left_semi").withColumn("keys", F.count("*").over(Window.partitionBy("id")))
+        out = common.materialise(keyed.where(F.col("keys") >= self.rule.least_keys(F.col("n"))).drop("keys"), "mixed-prefixes")
         common.discard(rows)
         return out
 
     def least_shared(self, na: Column, nb: Column) -> Column:
         """How many tokens two prefixes share at least if the sets link: of the prefix that ends first in the order, all but what
-        the partner lacks are in the other."""
-        lack = lambda n: F.floor(F.lit(100 - self.rule.percent) * n / 100)
-        return self.rule.shared_at_least(na, nb) + 2 + F.least(lack(na) - na, lack(nb) - nb)
+        lies behind it are in the other."""
+        return self.rule.shared_at_least(na, nb) + F.least(self.rule.prefix_of(na) - na, self.rule.prefix_of(nb) - nb)
 
     def pivots(self, rows: DataFrame, highest: bool) -> DataFrame:
         """For each document the pivot that it shares most keys with; a key's pivot is its lowest or highest document. Few
@@ -354,51 +367,54 @@ class Join:
         Each holder of a token is held against the token's pivot. Two sets a and b link if they differ in at most D tokens, D
         in proportion to their sizes. If their differences from the pivot have da and db tokens, of which s are common, they differ
         in da + db - 2 s. Where s may be 0, both link with the pivot; other pairs share (da + db - D) / 2 of their
-        differences, so prefixes of these, rarest first, meet. Of two sets at least one doesn't link with the pivot.
+        differences, so prefixes of these in the common order meet. Of two sets at least one doesn't link with the pivot.
+        Only these prefixes become rows.
         """
         pivot = frequent.groupBy("token").agg(F.min("id").alias("pivot"))
         held = common.materialise(frequent.join(pivot, "token").select("id", "n", "component", "pivot").distinct(), "pivot-pairs")
-        percent = self.rule.percent
+        percent, sent = self.rule.percent, self.spark.sparkContext.broadcast(self.hot)
+        c = (100 - percent) / (100 + percent)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            names = ["id", "n", "component", "pivot", "inside", "d", "place", "early", "token"]
             for batch in batches:
                 (sa, na), (sb, nb) = values_of(batch.column(4)), values_of(batch.column(5))
                 ea, eb = np.concatenate(([0], np.cumsum(na))), np.concatenate(([0], np.cumsum(nb)))
                 for i, j in slices(na, nb):
                     own, theirs = sa[ea[i] : ea[j]], sb[eb[i] : eb[j]]
                     shared, alone_a, alone_b = shared_counts(own, na[i:j], theirs, nb[i:j])
-                    row = np.concatenate((np.repeat(np.arange(j - i), na[i:j])[alone_a], np.repeat(np.arange(j - i), nb[i:j])[alone_b]))
-                    order = np.argsort(row, kind="stable")
-                    values = np.concatenate((own[alone_a], theirs[alone_b]))[order]
-                    offsets = np.concatenate(([0], np.cumsum(np.bincount(row, minlength=j - i)))).astype(np.int32)
                     inside = 100 * shared >= percent * (na[i:j] + nb[i:j] - shared)
-                    lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values.view(np.int64)))
-                    yield pa.RecordBatch.from_arrays([*batch.slice(i, j - i).columns[:4], pa.array(inside), lists], names=["id", "n", "component", "pivot", "inside", "difference"])
+                    row = np.concatenate((np.repeat(np.arange(j - i), na[i:j])[alone_a], np.repeat(np.arange(j - i), nb[i:j])[alone_b]))
+                    values = np.concatenate((own[alone_a], theirs[alone_b]))
+                    order = np.lexsort((values, is_in(sent.value, values), row))
+                    row, values = row[order], values[order]
+                    d = np.bincount(row, minlength=j - i)
+                    place = np.arange(len(row)) - (np.cumsum(d) - d)[row] + 1
+                    most = np.floor(c * batch.column(1).to_numpy()[i:j] * (1 + 100 / percent) + 1e-6).astype(np.int64)  # D with any partner
+                    long = d - np.maximum(1, d - most) + 1
+                    short = d - np.maximum(np.maximum(1, d - most), np.ceil(d * (1 - c) / 2 - 1e-6).astype(np.int64)) + 1  # for partners that don't link with the pivot
+                    kept = place <= np.where(inside, short, long)[row]
+                    row, values, place = row[kept], values[kept], place[kept]
+                    own_rows = np.flatnonzero(inside)  # one row of place 0 says that the document links with the pivot
+                    every = np.concatenate((row, own_rows))
+                    rest = len(own_rows)
+                    first = [x.take(pa.array(every + i)) for x in batch.columns[:4]]
+                    place, token = np.concatenate((place, np.zeros(rest, np.int64))), np.concatenate((values.view(np.int64), np.zeros(rest, np.int64)))
+                    yield pa.RecordBatch.from_arrays([*first, pa.array(inside[every]), pa.array(d[every]), pa.array(place), pa.array(place <= short[every]), pa.array(token)], names=names)
 
         both, sets = self.both_sets(held, "id", "pivot")
-        found = common.materialise(both.mapInArrow(run, "id long, n long, component long, pivot long, inside boolean, difference array<long>"), "differences")
+        found = common.materialise(both.mapInArrow(run, "id long, n long, component long, pivot long, inside boolean, d long, place long, early boolean, token long"), "difference-keys")
         common.discard(sets, held)
         common.free(self.spark)
 
-        c = (100 - self.rule.percent) / (100 + self.rule.percent)
-        d = F.size("difference")
-        most = F.floor(c * F.col("n") * (1 + 100 / self.rule.percent) + 1e-6)  # D with any partner
-        short = d - F.greatest(F.lit(1), d - most, F.ceil(d * (1 - c) / 2 - 1e-6)) + 1  # for partners that don't link with the pivot
-        long = d - F.greatest(F.lit(1), d - most) + 1
-        tokens = found.select("id", "n", "component", "pivot", "inside", d.alias("d"), short.alias("short"), long.alias("long"), F.explode("difference").alias("token"))
-        several = tokens.groupBy("pivot", "token").agg(F.count("*").alias("holders")).where("holders > 1")
-        shared = tokens.join(several, ["pivot", "token"])
-        mine = Window.partitionBy("pivot", "id")
-        place = F.row_number().over(mine.orderBy("holders", "token")) + F.col("d") - F.count("*").over(mine)  # tokens of its own come first
-        keyed = shared.withColumn("place", place).where("place <= long")
-        keyed = common.materialise(keyed.select("pivot", "token", "id", "n", "component", "inside", "d", "place", (F.col("place") <= F.col("short")).alias("early")), "difference-keys")
+        keyed = found.where("place > 0")
         x, y = keyed.where("early").alias("x"), keyed.where("not inside").alias("y")
         near = x.join(y, (F.col("x.pivot") == F.col("y.pivot")) & (F.col("x.token") == F.col("y.token"))).where("x.component <> y.component and (x.inside or (y.early and x.id < y.id))")
         # at the first token that they share, what is left behind it bounds all that they share
         needed = (F.col("x.d") + F.col("y.d") - F.floor(c * (F.col("x.n") + F.col("y.n")) + 1e-6)) / 2
         near = near.where(F.least(F.col("x.d") - F.col("x.place"), F.col("y.d") - F.col("y.place")) + 1 >= needed - 1e-6)
         near = near.where(self.rule.sizes_fit(F.col("x.n"), F.col("y.n"))).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b"))
-        linked = found.where("inside and id <> pivot").select(F.least("id", "pivot").alias("a"), F.greatest("id", "pivot").alias("b"))
+        linked = found.where("place = 0 and id <> pivot").select(F.least("id", "pivot").alias("a"), F.greatest("id", "pivot").alias("b"))
         return near.union(linked)
 
     def link(self) -> None:
