@@ -52,6 +52,20 @@ def test_pieces_equal_whole_texts(text):
     assert e.encode(text) == e.whole(text)
 
 
+def test_special_tokens_are_as_the_library_gives_them():
+    from tokenizers import Tokenizer
+
+    path = tokens.tokenizer_path()
+    plain, own = Tokenizer.from_file(path), tokens.encoder(path)
+    for text in ("x <|endoftext|> y", "<|endoftext|><|endoftext|>", "é <|endoftext|>", "a <|endof text|>"):
+        assert np.frombuffer(own.encode(text), np.uint16).tolist() == plain.encode(text, add_special_tokens=False).ids
+
+
+def test_number_of_files_is_bounded():
+    assert tokens.files_for(0) == 1 and tokens.files_for(80_000_000) == 10
+    assert tokens.files_for(10**14) < 500_000
+
+
 def test_odd_rows(odd, none):
     rows = tokens.round_trip(odd, [F.col("doc_id"), F.xxhash64("text")]).orderBy("start").collect()
     assert [r.doc_id for r in rows] == [None, 1, 1, 2, 3, 4, 5, 6, 7, 8, 9]

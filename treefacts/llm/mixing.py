@@ -1,14 +1,16 @@
 """Mixing sources to target weights by proportionate fair scheduling.
 
-The documents of a source, in a hashed order, form blocks of block_docs. With shares n_s of a frame of D slots, block i
-of source s (from 1) is released at floor((i - 1) D / n_s) and due at ceil(i D / n_s); in every slot the released
-block that is due first goes out (ties: by name). So after every slot each source has had its due number of blocks, to less than one. The schedule
-repeats after D slots: one frame is computed, and the slot of any block follows by arithmetic where the block is.
-When a source has no blocks left, a new phase deals the frame out to the rest by their weights. No document is lost or
-taken twice; the last block of a source may be short.
-
-A null source is a source of its own. Null ids and repeated rows are documents like others (ties in any order). No documents: an empty
-result. At most max_sources sources; the number of documents is not bounded.
+The documents of a source, in a hashed order, form blocks of block_docs. With target weight w (an exact fraction of the
+sum of all), block i of a source (from 1) is released at floor((i - 1) / w) and due at ceil(i / w); in every slot the released
+block that is due first goes out (ties: by name). So after every slot each source has had its due number of blocks, to
+less than one, however long the mix is: weights are never rounded. When a source has no blocks left, a new phase begins, in
+which the rest share the slots by their weights. No document is lost or taken twice; the last block of a source may be short.
+
+The slots of all blocks are worked out by the driver and broadcast, 8 bytes a block. That is bounded: a block has BLOCK_DOCS
+documents, or more where there would be over MOST_BLOCKS blocks (then a MOST_BLOCKS-th of all documents).
+
+A null source is a source of its own. Null ids and repeated rows are documents like others, ordered by their other columns;
+equal rows in any order. No documents: an empty result. Over max_sources sources are an error.
 """
 
 from __future__ import annotations
@@ -16,6 +18,7 @@ from __future__ import annotations
 import heapq
 from collections.abc import Iterator, Mapping
 from dataclasses import dataclass
+from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
@@ -23,128 +26,120 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from treefacts.llm import common
+
 BLOCK_DOCS = 32
-FRAME = 1_000
+MOST_BLOCKS = 1 << 20
 MAX_SOURCES = 1_000
 EXPONENT = 0.5  #: a source without a given weight gets its number of documents to this power
 BUCKET_DOCS = 256
 NO_SOURCE = "\x00no source"
 
 
-def shares(weights: Mapping[str, float], frame: int = FRAME) -> dict[str, int]:
-    """Whole slots of a frame for each source by largest remainders, one at least."""
-    names = sorted(weights)
-    frame = max(frame, len(names))
-    total = sum(weights.values())
-    exact = {s: weights[s] / total * (frame - len(names)) for s in names}
-    out = {s: 1 + int(exact[s]) for s in names}
-    for s in sorted(names, key=lambda s: (int(exact[s]) - exact[s], s))[: frame - sum(out.values())]:
-        out[s] += 1
-    return out
-
-
-def frame_slots(share: Mapping[str, int]) -> dict[str, list[int]]:
-    """Slots of each source in a frame by earliest deadline first."""
-    length = sum(share.values())
-    waiting = [(0, s, 1) for s in sorted(share)]  # by release
-    heapq.heapify(waiting)
-    ready: list[tuple[int, str, int]] = []
-    out: dict[str, list[int]] = {s: [] for s in share}
-    for slot in range(length):
-        while waiting and waiting[0][0] <= slot:
-            _, s, i = heapq.heappop(waiting)
-            heapq.heappush(ready, (-(-i * length // share[s]), s, i))
-        _, s, i = heapq.heappop(ready)
-        out[s].append(slot)
-        if i < share[s]:
-            heapq.heappush(waiting, (i * length // share[s], s, i + 1))
-    return out
+def windows(weight: Fraction, i: int) -> tuple[int, int]:
+    """Release and deadline of block i (from 1) of a source with this share of the slots."""
+    p, q = weight.numerator, weight.denominator
+    return (i - 1) * q // p, -(-i * q // p)
 
 
 @dataclass
 class Phase:
     start: int  #: first slot
-    length: int  #: of its frame
+    weights: dict[str, Fraction]  #: shares of the slots, 1 in all
     first: dict[str, int]  #: blocks that each source has had before
-    slots: dict[str, np.ndarray]
-
-    def slot(self, source: str, block: np.ndarray) -> np.ndarray:
-        own = self.slots[source]
-        i = block - self.first[source]
-        return self.start + i // len(own) * self.length + own[i % len(own)]
 
 
-def phases(blocks: Mapping[str, int], weights: Mapping[str, float], frame: int = FRAME) -> list[Phase]:
-    left, had, start, out = {s: n for s, n in blocks.items() if n}, dict.fromkeys(blocks, 0), 0, []
+def schedule_slots(blocks: Mapping[str, int], weights: Mapping[str, float]) -> tuple[list[Phase], dict[str, np.ndarray]]:
+    """Phases, and the slot of each block of each source, by earliest deadline first."""
+    left = {s: n for s, n in sorted(blocks.items()) if n}
+    exact = {s: Fraction(weights[s]) for s in left}
+    if any(w <= 0 for w in exact.values()):
+        raise ValueError("weights are over 0")
+    out, had = {s: np.zeros(n, np.int64) for s, n in left.items()}, dict.fromkeys(left, 0)
+    found, slot = [], 0
     while left:
-        share = shares({s: weights[s] for s in left}, frame)
-        phase = Phase(start, sum(share.values()), {s: had[s] for s in left}, {s: np.array(x) for s, x in frame_slots(share).items()})
-        end = min(int(phase.slot(s, np.array([had[s] + left[s] - 1]))[0]) for s in left) + 1
-        for s in list(left):
-            full, rest = divmod(end - start, phase.length)
-            used = full * share[s] + int(np.searchsorted(phase.slots[s], rest))
-            had[s] += used
-            left[s] -= used
+        total = sum(exact[s] for s in left)
+        phase = Phase(slot, {s: exact[s] / total for s in left}, {s: had[s] for s in left})
+        found.append(phase)
+        waiting = [(0, s, 1) for s in left]  # by release
+        heapq.heapify(waiting)
+        ready: list[tuple[int, str, int]] = []
+        while True:
+            while waiting and waiting[0][0] <= slot - phase.start:
+                _, s, i = heapq.heappop(waiting)
+                heapq.heappush(ready, (windows(phase.weights[s], i)[1], s, i))
+            _, s, i = heapq.heappop(ready)
+            out[s][had[s]] = slot
+            had[s] += 1
+            left[s] -= 1
+            slot += 1
             if not left[s]:
                 del left[s]
-        out.append(phase)
-        start = end
-    return out
+                break
+            heapq.heappush(waiting, (windows(phase.weights[s], i + 1)[0], s, i + 1))
+    return found, out
 
 
 class Schedule:
-    def __init__(self, docs: Mapping[str, int], weights: Mapping[str, float], block_docs: int, frame: int):
+    def __init__(self, docs: Mapping[str, int], weights: Mapping[str, float], block_docs: int):
         self.block_docs = block_docs
-        self.blocks = {s: -(-n // block_docs) for s, n in docs.items()}
-        self.phases = phases(self.blocks, weights, frame)
-        short = sorted((int(self.place(s, np.array([self.blocks[s] - 1]))[0][0]), self.blocks[s] * block_docs - docs[s]) for s in docs if docs[s])
+        self.phases, self.slots = schedule_slots({s: -(-n // block_docs) for s, n in docs.items()}, weights)
+        short = sorted((int(own[-1]), len(own) * block_docs - docs[s]) for s, own in self.slots.items())
         self.short_slots = np.array([x for x, _ in short], np.int64)
         self.missing = np.concatenate(([0], np.cumsum([n for _, n in short]))).astype(np.int64)
 
     def place(self, source: str, block: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Slot, phase, release and deadline of blocks (from 0) of a source."""
-        own = [k for k, p in enumerate(self.phases) if source in p.slots]
+        own = [k for k, p in enumerate(self.phases) if source in p.first]
         at = np.searchsorted([self.phases[k].first[source] for k in own], block, side="right") - 1
-        slot, release, due, phase = (np.zeros(len(block), np.int64) for _ in range(4))
-        for j in np.unique(at):
-            p, mask = self.phases[own[j]], at == j
-            i, n = block[mask] - p.first[source], len(p.slots[source])
-            slot[mask], phase[mask] = p.slot(source, block[mask]), own[j]
-            release[mask], due[mask] = p.start + i * p.length // n, p.start - (-(i + 1) * p.length // n)
-        return slot, phase, release, due
+        each, back = np.unique(block, return_inverse=True)
+        spans = []
+        for b, j in zip(each.tolist(), at[np.unique(block, return_index=True)[1]].tolist(), strict=True):
+            p = self.phases[own[j]]
+            release, due = windows(p.weights[source], b - p.first[source] + 1)
+            spans.append((p.start + release, p.start + due))
+        spans_ = np.array(spans, np.int64).reshape(-1, 2)[back]
+        return self.slots[source][block], np.array(own, np.int64)[at], spans_[:, 0], spans_[:, 1]
 
     def position(self, slot: np.ndarray, inside: np.ndarray) -> np.ndarray:
         """Place of a document in the whole mix."""
         return slot * self.block_docs + inside - self.missing[np.searchsorted(self.short_slots, slot)]
 
 
-def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, id_col: str = "doc_id", source_col: str = "source", block_docs: int = BLOCK_DOCS, frame: int = FRAME, max_sources: int = MAX_SOURCES) -> DataFrame:
+def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, id_col: str = "doc_id", source_col: str = "source", block_docs: int | None = None, max_sources: int = MAX_SOURCES) -> DataFrame:
     """docs with mix_position (0 on, without gaps), mix_block (of its source, from 0), mix_slot, mix_release, mix_deadline
     and mix_phase; columns of these names in docs are replaced."""
     added = ("mix_position", "mix_block", "mix_slot", "mix_release", "mix_deadline", "mix_phase")
     docs = docs.drop(*added)
     source = F.coalesce(F.col(source_col).cast("string"), F.lit(NO_SOURCE))
-    counts = {r[0]: r[1] for r in docs.groupBy(source.alias("s")).count().limit(max_sources + 1).collect()}
+    common.ship(docs.sparkSession)
+    found = docs.groupBy(source.alias("s")).agg(F.count("*").alias("n"), F.count(F.col(id_col)).alias("with_id")).limit(max_sources + 1).collect()
+    counts, null_ids = {r.s: r.n for r in found}, any(r.with_id < r.n for r in found)
     if len(counts) > max_sources:
         raise ValueError(f"over {max_sources} sources")
     target = {s: float((weights or {}).get(s, n**EXPONENT)) for s, n in counts.items()}
-    schedule = Schedule(counts, target, block_docs, frame)
+    block_docs = block_docs or max(BLOCK_DOCS, -(-sum(counts.values()) // MOST_BLOCKS))
+    sent = docs.sparkSession.sparkContext.broadcast(Schedule(counts, target, block_docs))
 
     # ranks inside a source: hashed order in buckets, whose sizes add up to where each begins
     total = sum(counts.values())
-    bits = max(4, min(16, (max(1, total // BUCKET_DOCS)).bit_length()))
+    bits = max(4, min(20, (max(1, total // BUCKET_DOCS)).bit_length()))
+    rest = F.xxhash64(*[F.col(f"`{f.name}`") for f in docs.schema.fields if isinstance(f.dataType, T.AtomicType)])
     hashed = F.xxhash64(F.col(id_col), F.lit("mix"))
+    if null_ids:  # rows without an id are spread by what else they hold
+        hashed = F.when(F.col(id_col).isNull(), rest).otherwise(hashed)
     keyed = docs.withColumns({"_mix_source": source, "_mix_key": hashed, "_mix_bucket": F.shiftrightunsigned(hashed, 64 - bits)})
     sizes = docs.groupBy(source.alias("_mix_source"), F.shiftrightunsigned(hashed, 64 - bits).alias("_mix_bucket")).count()
     before = Window.partitionBy("_mix_source").orderBy("_mix_bucket").rowsBetween(Window.unboundedPreceding, -1)
     starts = sizes.select("_mix_source", "_mix_bucket", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("_mix_start"))
-    inside = Window.partitionBy("_mix_source", "_mix_bucket").orderBy("_mix_key", F.col(id_col))
+    inside = Window.partitionBy("_mix_source", "_mix_bucket").orderBy("_mix_key", F.col(id_col), rest)
     ranked = keyed.withColumn("_mix_row", F.row_number().over(inside) - 1).join(starts, ["_mix_source", "_mix_bucket"])
     ranked = ranked.select(*[F.col(f"`{c}`") for c in docs.columns], F.col("_mix_source"), (F.col("_mix_start") + F.col("_mix_row")).alias("_mix_rank"))
     schema = T.StructType([*docs.schema.fields, *[T.StructField(c, T.LongType()) for c in added]])
     n = len(docs.columns)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        schedule = sent.value
         for batch in batches:
             rank = batch.column(n + 1).to_numpy(zero_copy_only=False).astype(np.int64)
             block, out = rank // block_docs, np.zeros((4, len(rank)), np.int64)

@@ -5,7 +5,8 @@ block_tokens ids (or one document, if that is longer) as raw bytes through Spark
 file system and a task that is run again leaves one file. Reading takes whole files; their size is bounded by how many
 documents a task gets (rows_per_task).
 
-Null or empty text: only the end id. Repeated rows: one entry each. A null document id is written as the lowest long.
+Strings of the tokenizer's special tokens in a text get those tokens' ids, as the library gives them when nothing else is asked
+for. Null or empty text: only the end id. Repeated rows: one entry each. A null document id is written as the lowest long.
 """
 
 from __future__ import annotations
@@ -26,7 +27,8 @@ from treefacts.llm import common, wavelet
 END_ID = 2
 BITS = 16
 BLOCK_TOKENS = 1 << 21
-FILE_BYTES = 8_000_000  #: of text that a file should hold
+FILE_BYTES = 8_000_000  #: of text that a file should hold, until there are MANY_FILES
+MANY_FILES, MOST_BYTES = 4_096, 256_000_000  #: beyond so many files they grow up to MOST_BYTES each
 CACHE_WORDS = 400_000
 NULL_ID = -(1 << 63)
 #: Texts of these characters are split by a plain pattern, all others by the tokenizer itself.
@@ -60,7 +62,7 @@ class Pieces(dict):
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.merge, self.letters = self.tokenizer.model.tokenize, byte_letters()
         if self.tokenizer.get_vocab_size() > 1 << 16:
             raise ValueError("ids of over 16 bits")
@@ -80,11 +82,16 @@ class Pieces(dict):
     def encode(self, text: str) -> bytes:
         if not text:
             return b""
-        if PLAIN.fullmatch(text):
+        if PLAIN.fullmatch(text) and not any(x in text for x in self.special):
             return b"".join(map(self.__getitem__, PIECES.findall(text)))
         return self.whole(text)
 
 
+def files_for(n_bytes: int) -> int:
+    small = -(-n_bytes // FILE_BYTES)
+    return max(1, small if small <= MANY_FILES else max(MANY_FILES, -(-n_bytes // MOST_BYTES)))
+
+
 _encoders: dict[str, Pieces] = {}
 
 
@@ -124,7 +131,7 @@ def write(docs: DataFrame, folder: str, order: list[Column], id_col: str = "doc_
     keys = [f"order{i}" for i in range(len(order))]
     if n_files is None:
         n = docs.agg(F.sum(F.octet_length(F.col(text_col)))).first()[0] or 0
-        n_files = max(1, -(-n // FILE_BYTES))
+        n_files = files_for(n)
     dealt = chosen.repartitionByRange(n_files, *keys).sortWithinPartitions(*keys).select("id", "text")
     dealt.mapInArrow(run, "value binary").select(F.col("value").cast("string").alias("value")).write.option("compression", "none").text(folder)
 

@@ -28,7 +28,8 @@ CRLF = b"\r\n"
 LEAST_BYTES = 100  #: smaller payloads are never revisits
 SEGMENT_BYTES = 48 * 1024
 CHUNK_BYTES = 8 * 1024
-FILE_BYTES = 8_000_000
+FILE_BYTES = 8_000_000  #: of payloads that a file should hold, until there are MANY_FILES
+MANY_FILES, MOST_BYTES = 4_096, 256_000_000  #: beyond so many files they grow up to MOST_BYTES each
 DATE = "2024-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -90,7 +91,8 @@ def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str =
     firsts = large.groupBy("digest").agg(F.min("id").alias("first"), F.max("id").alias("last")).where("first < last").drop("last")
     revisits = large.join(firsts, "digest").where("id > first").groupBy("id", "digest").agg(F.min("first").alias("first"))
     total = meta.agg(F.sum("bytes")).first()[0] or 0
-    n_files = max(1, -(-total // FILE_BYTES))
+    small = -(-total // FILE_BYTES)
+    n_files = max(1, small if small <= MANY_FILES else max(MANY_FILES, -(-total // MOST_BYTES)))
     # one shuffle of the payloads: both sides are dealt to the files by the join's keys
     by = lambda df: df.repartition(n_files, "id", "digest")
     marked = by(source.withColumn("digest", F.sha2("payload", 256))).join(by(revisits), ["id", "digest"], "left").select("id", "url", "payload", "first")
