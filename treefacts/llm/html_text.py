@@ -2,12 +2,17 @@
 
 A tolerant parser builds the tree of a page. For each node, characters, link characters, tags and link tags below it
 give the composite density: characters per tag, adjusted by how much of them is links. The node whose children have
-the largest sum of densities holds the main text; the least density on its way down from the body is the threshold by
-which neighbours of that way are taken in too. Parts that are never main text (navigation, forms, adverts, comments of
-readers and so on, by element, role or words of class and id) are cut first.
+the largest sum of densities holds the main text; the least density on its way up to the body is the threshold, and every
+largest subtree beside that way that reaches it and isn't mostly links is main text as well. A chosen node inside an `article`
+(or, on a page without one, a `main`) stands for that element, and for its siblings of the same name and class: a
+page may hold several articles.
+
+Parts that are never main text go first, by what the page says they are: elements (nav, footer, aside, form, script and so
+on), roles, and words of class and id. Outside articles a word may be a part of a class name ("site-nav"); inside, the class
+has to be that word ("notice"), but for a few words of adverts and comments, so that a "related-work" section stays.
 
 Null or empty html: empty text. Broken and truncated markup is closed as browsers do, roughly. Repeated rows are worked
-on each on its own, pages one at a time and whole; other columns are ignored.
+on each on its own, pages one at a time and whole, in time linear in their nodes; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -15,12 +20,15 @@ from __future__ import annotations
 import html as entities
 import math
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from treefacts.llm import common
+
 # Element names of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript template textarea title xmp iframe noembed noframes".split())
@@ -41,8 +49,10 @@ CUT_WORDS = frozenset(
     "share sharing social socials follow tags tagcloud byline-links search searchbox form hidden".split()
 )
 ARTICLE_PARTS = frozenset(("article", "main"))
-#: Words that inside an article mark its own parts.
+#: Words that inside an article mark its own parts, and those that mark others even as a part of a class name.
 OWN_WORDS = frozenset("header masthead copyright legal thread discussion promotion follow".split())
+OTHERS_WORDS = frozenset("ad ads adv advert advertisement adslot sponsored promo newsletter cookie comment comments share sharing".split())
+INSIDE_WORDS = CUT_WORDS - OWN_WORDS
 TAG = re.compile(
     r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[(?P<cdata>.*?)(?:\]\]>|\Z)|<[!?][^>]*+(?:>|\Z)"
     r"|<(?P<end>/?)(?P<name>[a-zA-Z][^\s/>]*)(?P<atts>(?:[^>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)(?P<close>>|\Z)",
@@ -71,9 +81,13 @@ def attributes(text: str) -> dict[str, str]:
 def parse(page: str) -> Node:
     """The tree of a page; leaves are texts with character references decoded."""
     root = Node("#page", None, {})
-    open_ = [root]
+    open_, opened = [root], Counter()  # how many elements of a name are open
     at, n = 0, len(page)
 
+    def close(k: int) -> None:
+        opened.subtract(x.name for x in open_[k:])
+        del open_[k:]
+
     def add(text: str) -> None:
         if text:
             open_[-1].children.append(entities.unescape(text))
@@ -91,21 +105,20 @@ def parse(page: str) -> Node:
             continue
         name = m["name"].lower()
         if m["end"]:
-            if any(x.name == name for x in open_[1:]):
-                while open_.pop().name != name:
-                    pass
+            if opened[name] > 0:
+                close(next(k for k in range(len(open_) - 1, 0, -1) if open_[k].name == name))
             continue
-        if name in ENDS_P and any(x.name == "p" for x in open_):
+        if name in ENDS_P and opened["p"] > 0:
             for k in range(len(open_) - 1, 0, -1):
                 if open_[k].name == "p":
-                    del open_[k:]
+                    close(k)
                     break
                 if open_[k].name not in INLINE and open_[k].name != "p":
                     break
         if name in CLOSES:
             for k in range(len(open_) - 1, 0, -1):
                 if open_[k].name in CLOSES[name]:
-                    del open_[k:]
+                    close(k)
                     break
                 if open_[k].name in SCOPES.get(name, ()):
                     break
@@ -117,11 +130,12 @@ def parse(page: str) -> Node:
         if name in VOID or m["atts"].endswith("/"):
             continue
         if name in RAW:
-            close = re.compile(f"</{name}\\b[^>]*(?:>|\\Z)", re.I).search(page, at)
-            node.children.append(page[at : close.start() if close else n])
-            at = close.end() if close else n
+            end = re.compile(f"</{name}\\b[^>]*(?:>|\\Z)", re.I).search(page, at)
+            node.children.append(page[at : end.start() if end else n])
+            at = end.end() if end else n
             continue
         open_.append(node)
+        opened[name] += 1
     return root
 
 
@@ -137,10 +151,10 @@ def is_cut(node: Node, in_article: bool) -> bool:
         return True
     if name in ("html", "body", "main") or node.article:  # a wrapper of the article may be named for what stands beside it
         return False
-    words = CUT_WORDS - OWN_WORDS if in_article else CUT_WORDS
+    words, parts = (INSIDE_WORDS, OTHERS_WORDS) if in_article else (CUT_WORDS, CUT_WORDS)
     for key in ("class", "id"):
         for word in atts.get(key, "").lower().split():
-            if word in words or not words.isdisjoint(PARTS.split(word)):
+            if word in words or not parts.isdisjoint(PARTS.split(word)):
                 return True
     return False
 
@@ -183,35 +197,53 @@ def weigh(found: list[Node], body: Node) -> None:
         node.sum = sum(x.density for x in node.children if isinstance(x, Node) and not x.cut) or (node.density if node.chars else 0.0)
 
 
+def is_article(node: Node, names: tuple[str, ...] = ("article",)) -> bool:
+    return node.name in names or node.atts.get("role") in names or node.atts.get("itemprop") == "articleBody"
+
+
 def main_parts(root: Node) -> list[Node]:
     """Subtrees that hold the main text, in page order."""
     found = nodes(root)
     body = next((x for x in found if x.name == "body"), root)
     weigh(found, body)
-    below = [x for x in found if x is body or body in ancestors(x)]
-    holders = [x for x in below if any(isinstance(k, str) and not k.isspace() or isinstance(k, Node) and k.chars for k in x.children)]
+    below, todo = [], [body]
+    while todo:
+        x = todo.pop()
+        below.append(x)
+        todo += [k for k in reversed(x.children) if isinstance(k, Node) and not k.cut]
+    holders = [x for x in below if x.chars]
     if not holders:
         return []
     best = max(holders, key=lambda x: x.sum)
-    way = [best, *[x for x in ancestors(best) if x is body or body in ancestors(x)]]
+    way = [best]
+    while way[-1] is not body:
+        way.append(way[-1].parent)
     threshold = min(x.density for x in way)
-    for x in way:  # an article is taken whole
-        if x.name in ARTICLE_PARTS or x.atts.get("role") in ARTICLE_PARTS or x.atts.get("itemprop") == "articleBody":
-            best = x
-    outer = next((x for x in way if x.name == "article"), None)
-    if outer is not None:
-        return [outer if outer in ancestors(best) else best]
-    if best.name in ARTICLE_PARTS:
-        return [best]
-    keep = {id(best)}
-    inner = best
-    for x in [y for y in way if y is not inner]:
-        for k in x.children:
-            if isinstance(k, Node) and not k.cut and k.chars and k.density >= threshold and k not in way and k.link_chars < 0.5 * k.chars:
-                keep.add(id(k))
+    on_way = {id(x) for x in way}
+    good = lambda k: isinstance(k, Node) and not k.cut and k.chars and k.link_chars < 0.5 * k.chars
+    chosen = [best, *(k for x in way[1:] for k in x.children if good(k) and id(k) not in on_way and k.density >= threshold)]
     headings = ("h1", "h2", "h3", "h4", "h5", "h6", "p", "blockquote", "pre")
-    if best.parent is not None:
-        keep |= {id(k) for k in best.parent.children if isinstance(k, Node) and not k.cut and k.chars and k.name in headings and k.link_chars < 0.5 * k.chars}
+    if best is not body:
+        chosen += [k for k in best.parent.children if good(k) and k.name in headings]
+    keep: set[int] = set()
+    names = ("article",) if any(is_article(x) for x in below) else ("article", "main")
+    whole = {}
+    for x in chosen:
+        around, outer = x, None
+        while True:
+            if is_article(around, names):
+                outer = around
+            if around is body:
+                break
+            around = around.parent
+        if outer is not None:
+            whole[id(outer)] = outer
+        else:
+            keep.add(id(x))
+    if whole:  # what stands beside declared articles isn't theirs
+        keep = set()
+        for x in whole.values():
+            keep |= {id(k) for k in x.parent.children if k is x or good(k) and k.name == x.name and k.atts.get("class") == x.atts.get("class")}
     return ordered(body, keep)
 
 
@@ -226,14 +258,6 @@ def ordered(body: Node, keep: set[int]) -> list[Node]:
     return out
 
 
-def ancestors(node: Node) -> list[Node]:
-    out = []
-    while node.parent is not None:
-        node = node.parent
-        out.append(node)
-    return out
-
-
 def text_of(parts: list[Node]) -> str:
     """Text of subtrees, without what is cut; a space between blocks, none between inline elements."""
     out: list[str] = []
@@ -256,6 +280,7 @@ def main_text(page: str | None) -> str:
 
 def extract(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", keep_cols: tuple[str, ...] = ("url",)) -> DataFrame:
     """id, keep_cols, text and n_chars of each row of pages."""
+    common.ship(pages.sparkSession)
     fields = [T.StructField(c, pages.schema[c].dataType) for c in (id_col, *keep_cols)]
     schema = T.StructType([*fields, T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])
 
