@@ -4,13 +4,15 @@ For each language a suffix automaton holds some labelled text. A text is parsed
 match from where the last one ended. Phrases, normalised to bits per character by the length of the automaton's text,
 estimate the cross entropy; the language with the fewest wins.
 
-The automata are dense tables in which a failed step restarts at the root and marks a phrase, so a step is one lookup,
-taken for all segments of a batch at once. Texts are parsed whole; a phrase ends at each end of a segment of
-SEGMENT characters, in all languages alike.
-
-Training text is a bounded sample: about train_rows rows a language by hash of the id, cut at train_chars characters.
-Null text or text without a letter: `und`, score 0. Repeated rows are judged each on its own. Without training rows
-everything is `und`.
+Letters are the symbols; runs of other characters are one. The most frequent letters of each language have symbols of
+their own, all others share HASHED symbols by a hash of the code point, so scripts stay apart. The automata are dense tables
+over the symbols of their text, in which a failed step restarts at the root and marks a phrase: a step is one lookup, taken
+for all segments of a batch at once. Segments of one text are first parsed from the root, then again from where the one
+before ended, until both parses are in one state, which they stay in; so the phrases are those of the whole text.
+
+Training text is a bounded sample: about train_rows rows a language by hash of the id, whole, as long as they come to
+train_chars characters at most (a single longer row is left out). Null text or text without a letter: `und`, score 0. Repeated
+rows are judged each on its own. Without training rows everything is `und`. Over MAX_LANGUAGES languages are an error.
 """
 
 from __future__ import annotations
@@ -25,11 +27,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from treefacts.llm import common
+
 TRAIN_ROWS = 80
 TRAIN_CHARS = 40_000
 MAX_LANGUAGES = 200
-ALPHABET = 62  #: most frequent letters that have a class of their own
-SEGMENT = 256
+ALPHABET = 62  #: most frequent letters of each language that have a symbol of their own
+HASHED = 64  #: symbols that the other letters share
+SEGMENT = 256  #: characters that are parsed side by side
 BATCH_CHARS = 2_000_000
 SHARPNESS = 6.0  #: how fast the score of a language falls with its extra bits a character
 BREAK = 1 << 30
@@ -37,19 +42,22 @@ UNKNOWN = "und"
 
 
 class Classes:
-    """From code points to classes: 0 all that isn't a letter, 1 rare letters, then frequent ones; the last is padding."""
+    """From code points to symbols: 0 all that isn't a letter, then frequent letters, then shared ones; the last is padding."""
 
     def __init__(self, texts: list[str]):
-        letters = Counter(c for x in texts for c in x.lower() if c.isalpha())
-        chosen = [c for c, _ in sorted(letters.items(), key=lambda x: (-x[1], x[0]))[:ALPHABET]]
-        self.n = len(chosen) + 3
-        place = {c: i + 2 for i, c in enumerate(chosen)}
-        self.table = np.zeros(0x110000, np.uint8)
-        for i in range(0x30000):
+        chosen: set[str] = set()
+        for x in texts:
+            letters = Counter(c for c in x.lower() if c.isalpha())
+            chosen.update(c for c, _ in sorted(letters.items(), key=lambda x: (-x[1], x[0]))[:ALPHABET])
+        place = {c: i for i, c in enumerate(sorted(chosen), 1)}
+        shared = len(place) + 1
+        self.n = shared + HASHED + 1
+        self.table = np.zeros(0x110000, np.uint16)
+        for i in range(0x110000):
             c = chr(i)
             if c.isalpha():
-                low = c.lower()
-                self.table[i] = place.get(low if len(low) == 1 else low[0], 1)
+                low = c.lower()[0]
+                self.table[i] = place.get(low) or shared + ord(low) * 0x9E3779B1 % (1 << 32) % HASHED
 
     def codes(self, text: str) -> np.ndarray:
         """Classes of a text, runs of other than letters as one."""
@@ -104,37 +112,68 @@ def dense(steps: list[dict[int, int]], width: int) -> np.ndarray:
     return out.astype(np.int32)
 
 
+def parsed(table: np.ndarray, columns: np.ndarray, follows: np.ndarray) -> np.ndarray:
+    """Phrases that end in each segment (a column of symbols); those marked go on from the one before."""
+    n = columns.shape[1]
+    end, count = np.zeros(n, np.int32), np.zeros(n, np.int64)
+    for column in columns:
+        got = table.take(end + column)
+        count += got >> 30
+        end = got & (BREAK - 1)
+    began = np.zeros(n, np.int32)  # the state from which a segment was parsed
+    while n:
+        true = np.concatenate(([0], end[:-1])).astype(np.int32) * follows
+        lane = np.flatnonzero(true != began)
+        if not len(lane):
+            break
+        old, new = began[lane], true[lane]
+        began[lane] = new
+        for k, column in enumerate(columns):
+            symbols = column[lane]
+            a, b = table.take(old + symbols), table.take(new + symbols)
+            count[lane] += (b >> 30) - (a >> 30)
+            old, new = a & (BREAK - 1), b & (BREAK - 1)
+            if k % 4 == 3:
+                apart = old != new
+                lane, old, new = lane[apart], old[apart], new[apart]
+                if not len(lane):
+                    break
+        end[lane] = new
+    return count
+
+
 class Model:
     def __init__(self, training: dict[str, str]):
         self.languages = sorted(x for x in training if training[x])
         self.classes = Classes([training[x] for x in self.languages])
-        self.tables, self.bits = [], []
+        self.tables, self.local, self.bits = [], [], []
         for x in self.languages:
             codes = self.classes.codes(training[x])
-            self.tables.append(dense(automaton(codes.tolist()), self.classes.n))
+            own = np.unique(codes)
+            local = np.zeros(self.classes.n, np.int32)  # 0: symbols that the text doesn't have
+            local[own] = np.arange(1, len(own) + 1)
+            local[-1] = len(own) + 1
+            self.local.append(local)
+            self.tables.append(dense(automaton(local[codes].tolist()), len(own) + 2))
             self.bits.append(np.log2(max(2, len(codes))))
 
     def phrases(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Phrases by language and text, classes and letters by text."""
+        """Phrases by language and text, symbols and letters by text."""
         codes = [self.classes.codes(x) for x in texts]
         sizes = np.array([len(c) for c in codes], np.int64)
         letters = np.array([np.count_nonzero(c) for c in codes], np.int64)
         n_segments = -(-sizes // SEGMENT)
         owner = np.repeat(np.arange(len(texts)), n_segments)
-        grid = np.full((int(n_segments.sum()), SEGMENT), self.classes.n - 1, np.uint8)
+        grid = np.full((int(n_segments.sum()), SEGMENT), self.classes.n - 1, np.uint16)
         flat, at = grid.reshape(-1), 0
         for c, n in zip(codes, n_segments.tolist(), strict=True):
             flat[at : at + len(c)] = c
             at += n * SEGMENT
-        columns = np.ascontiguousarray(grid.T).astype(np.int32)
+        follows = np.concatenate(([False], owner[1:] == owner[:-1])) if len(owner) else np.zeros(0, bool)
         found = np.zeros((len(self.languages), len(texts)))
-        for i, table in enumerate(self.tables):
-            state, count = np.zeros(len(owner), np.int32), np.zeros(len(owner), np.int32)
-            for column in columns:
-                got = table.take(state + column)
-                count += got >> 30
-                state = got & (BREAK - 1)
-            found[i] = np.bincount(owner, count, len(texts))
+        for i, (table, local) in enumerate(zip(self.tables, self.local, strict=True)):
+            columns = np.ascontiguousarray(local[grid].T)
+            found[i] = np.bincount(owner, parsed(table, columns, follows), len(texts))
         return found, sizes, letters
 
     def predict(self, texts: list[str]) -> tuple[list[str], list[float]]:
@@ -168,8 +207,8 @@ def model(training: dict[str, str]) -> Model:
 
 
 def sample(labelled: DataFrame, id_col: str, text_col: str, lang_col: str, train_rows: int, train_chars: int) -> dict[str, str]:
-    """About train_rows rows of each language (all, if it has fewer), by hash of the id, cut at train_chars."""
-    rows = labelled.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
+    """About train_rows rows of each language (all, if it has fewer), by hash of the id, of train_chars characters in all at most."""
+    rows = labelled.where(F.col(lang_col).isNotNull() & (F.char_length(F.col(text_col)) <= train_chars))
     counts = {r[0]: r[1] for r in rows.groupBy(lang_col).count().limit(MAX_LANGUAGES + 1).collect()}
     if len(counts) > MAX_LANGUAGES:
         raise ValueError(f"over {MAX_LANGUAGES} languages")
@@ -177,17 +216,19 @@ def sample(labelled: DataFrame, id_col: str, text_col: str, lang_col: str, train
         return {}
     place = F.pmod(F.xxhash64(F.col(id_col)), F.lit(1 << 30))
     share = F.element_at(F.create_map(*[F.lit(v) for k, n in counts.items() for v in (k, int((1 << 30) * min(1.0, train_rows / n)))]), F.col(lang_col))
-    chosen = rows.where(place < share).select(F.col(lang_col).alias("lang"), place.alias("place"), F.substring(F.col(text_col), 1, train_chars).alias("text")).collect()
-    out: dict[str, str] = {}
+    chosen = rows.where(place < share).select(F.col(lang_col).alias("lang"), place.alias("place"), F.col(text_col).alias("text")).collect()
+    out: dict[str, list[str]] = {}
+    left: dict[str, int] = {}
     for r in sorted(chosen, key=lambda r: (r.place, r.text)):
-        have = out.get(r.lang, "")
-        if len(have) < train_chars:
-            out[r.lang] = (have + "\n" + r.text)[:train_chars]
-    return out
+        if len(r.text) < left.get(r.lang, train_chars):
+            out.setdefault(r.lang, []).append(r.text)
+            left[r.lang] = left.get(r.lang, train_chars) - len(r.text) - 1
+    return {k: "\n".join(v) for k, v in out.items()}
 
 
 def identify(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", train_rows: int = TRAIN_ROWS, train_chars: int = TRAIN_CHARS) -> DataFrame:
     """id, lang_pred, score (0 to 1) of each row of docs; learnt from labelled."""
+    common.ship(docs.sparkSession)
     training = sample(labelled, id_col, text_col, lang_col, train_rows, train_chars)
     schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
 
