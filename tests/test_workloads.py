@@ -55,14 +55,29 @@ def test_round_trip_of_text(spark):
     assert sorted(map(tuple, again.facts.select("pred", "value", "okey").collect())) == sorted(map(tuple, store.facts.select("pred", "value", "okey").collect()))
 
 
-def test_trace_of_the_running_example(spark):
-    from fixtures import K0A
-
-    store = Store.from_nodes(markup.from_xml_text(spark.createDataFrame([(1, K0A)], "doc_id long, xml string")))
-    log = [(a.index, a.pos, a.hit) for a in index.trace(store, '/shelf/vol[@yr=2 and by="Bo"]/note')]
-    assert [p for i, p, hit in log if i == "first" and not hit][:1] == [0]
-    assert {p for i, p, hit in log if i == "first" and hit} == {8, 11, 13}
-    assert {p for i, p, hit in log if i == "second" and hit} == {9, 12}
+def test_trace(spark):
+    """Accesses in order: the first index steps through the first test's predicate, the second through what the hits' groups hold."""
+    from fixtures import PAIR
+
+    from treefacts.operators.store import positions
+
+    store = Store.from_nodes(markup.from_xml_text(spark.createDataFrame([(1, PAIR)], "doc_id long, xml string")))
+    facts = positions(store.facts).orderBy("pos").collect()
+    log = [(a.index, a.pred, a.pos, a.hit) for a in index.trace(store, '/yard/lot[@k=7 and item="elm"]/size')]
+    want = []
+    for f in facts:
+        if f.pred != "@k":
+            continue
+        want.append(("first", "@k", f.pos, f.value == "7"))
+        if f.value != "7":
+            continue
+        group = [g for g in facts if g.gpos == f.gpos]
+        for g in (g for g in group if g.pred == "item"):
+            want.append(("second", "item", g.pos, g.value == "elm"))
+            if g.value == "elm":
+                want += [("second", "size", x.pos, True) for x in group if x.pred == "size"]
+                break
+    assert log == want and {hit for _, _, _, hit in log} == {True, False}
 
 
 def test_files_of_records(spark, tmp_path):

@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from treefacts import model
 from treefacts.functions import keys
 from treefacts.operators import rebuild
-from treefacts.operators.evaluate import Evaluator, Options, query, union_all
+from treefacts.operators.evaluate import KEYS, Evaluator, Options, query, union_all
 from treefacts.operators.store import Store
 from treefacts.plans import specialise as sp
-from treefacts.plans.path import Path, parse
+from treefacts.plans.path import And, Path, Test, parse
+from treefacts.session import materialise
 
 
 def forest(store: Store, path: str, **options) -> DataFrame:
@@ -36,41 +39,52 @@ def forest(store: Store, path: str, **options) -> DataFrame:
 
 
 def branch(store: Store, path: str, keep_attributes: bool = False, **options) -> DataFrame:
-    """The part of the documents that the path is about: answers whole, what made conditions true, and what lies above.
-    Attributes stay only where they are answers or witnesses, unless keep_attributes."""
+    """The part of the documents that the path is about: answers whole, what made conditions true (whole too), and what lies
+    above. Attributes of what lies above stay only where they are answers or witnesses, unless keep_attributes."""
     tree = parse(path)
     evaluator = Evaluator(store, Options(**options))
     columns = ["doc_id", "okey", "tag", "kind", "value", "value_num"]
     found = evaluator.answers(tree).select(*columns)
-    parts = [found]
+    parts, tops = [found], [found.where(F.col("kind") == model.INNER)]
     contexts = sp.resolve(store.rules, tree)
+    depths = {store.rules.by_chain[c].depth for c in contexts[-1].chains}
     for k, (step, context) in enumerate(zip(tree.steps, contexts, strict=True)):
         if step.condition is None:
             continue
-        # records of this step that lie above an answer, and the witnesses of their tests
+        # records of this step that lead to an answer, and the witnesses of their tests
+        rest = tree.steps[k + 1 :]
+        condition = And((step.condition, Test(Path(rest)))) if rest else step.condition
+        held = materialise(evaluator.answers(Path((*tree.steps[:k], replace(step, condition=condition)))).where(F.col("kind") == model.INNER).select(*KEYS), "branch-records")
         for d, chains in evaluator.by_depth(context.chains).items():
-            above = found.where(F.length("okey") >= d * keys.WIDTH).select("doc_id", keys.cut(F.col("okey"), d).alias("okey")).distinct()
+            above = held.where(F.length("okey") == d * keys.WIDTH).select(*KEYS)
             for test in sp.tests_of(step.condition):
                 facts, inner = evaluator.witnesses(test, d, chains)
                 for df in (facts, inner):
                     if df is None:
                         continue
-                    if "pred" in df.columns:
-                        df = df.withColumn("tag", F.col("pred"))
-                    else:
+                    is_inner = df is inner
+                    if is_inner:
                         df = df.withColumns({"kind": F.lit(model.INNER), "value": F.lit(None).cast("string"), "value_num": F.lit(None).cast("double")})
+                        end = sp.resolve(store.rules, test.path, sp.Context(frozenset(chains)))[-1]
+                        depths |= {store.rules.by_chain[c].depth for c in end.chains}
+                    else:
+                        df = df.withColumn("tag", F.col("pred"))
                     df = df.withColumn("_top", keys.cut(F.col("okey"), d))
-                    parts.append(df.join(above.withColumnRenamed("okey", "_top"), ["doc_id", "_top"], "left_semi").select(*columns))
-    whole = union_all(parts).distinct()
-    tops = whole.where(F.col("kind") == model.INNER)
+                    seen = df.join(above.withColumnRenamed("okey", "_top"), ["doc_id", "_top"], "left_semi").select(*columns)
+                    parts.append(seen)
+                    if is_inner:
+                        tops.append(seen)
+    # read several times below
+    whole = materialise(union_all(parts).distinct(), "branch")
+    every_top = materialise(union_all(tops).distinct(), "branch-tops") if len(tops) > 1 else whole.where(F.col("kind") == model.INNER)
     named = whole.select("doc_id", F.explode(F.transform(F.sequence(F.lit(1), keys.depth(F.col("okey"))), lambda i: F.substring(F.col("okey"), F.lit(1), i * keys.WIDTH))).alias("okey")).distinct()
     above = store.records.join(named, ["doc_id", "okey"], "left_semi").select("doc_id", "okey", "tag", F.lit(model.INNER).alias("kind"), F.lit(None).cast("string").alias("value"), F.lit(None).cast("double").alias("value_num"))
     out = [whole, above]
     if keep_attributes:
         atts = store.facts.where(F.col("kind") == model.ATTRIBUTE).join(named, ["doc_id", "okey"], "left_semi")
         out.append(atts.select("doc_id", "okey", F.col("pred").alias("tag"), "kind", "value", "value_num"))
-    for d in sorted({store.rules.by_chain[c].depth for c in contexts[-1].chains}):
-        here = tops.where(F.length("okey") == d * keys.WIDTH).select("doc_id", F.col("okey").alias("_top"))
+    for d in sorted(depths):
+        here = every_top.where(F.length("okey") == d * keys.WIDTH).select("doc_id", F.col("okey").alias("_top"))
         for df in (store.facts.withColumnRenamed("pred", "tag"), store.records.withColumns({"kind": F.lit(model.INNER), "value": F.lit(None).cast("string"), "value_num": F.lit(None).cast("double")})):
             below = df.where(F.length("okey") >= d * keys.WIDTH).withColumn("_top", keys.cut(F.col("okey"), d)).join(here, ["doc_id", "_top"], "left_semi")
             out.append(below.select(*columns))
@@ -120,7 +134,7 @@ def asof(left: DataFrame, right: DataFrame, key: str, time: str) -> DataFrame:
 def combine(how: str, a: DataFrame, b: DataFrame) -> DataFrame:
     """union, intersect or minus of answers as sets of nodes."""
     a, b = (x.select("doc_id", "okey", "tag", "kind") for x in (a, b))
-    return {"union": lambda: a.unionByName(b).distinct(), "intersect": lambda: a.intersect(b), "minus": lambda: a.exceptAll(b)}[how]()
+    return {"union": lambda: a.unionByName(b).distinct(), "intersect": lambda: a.intersect(b), "minus": lambda: a.subtract(b)}[how]()
 
 
 def to_json(found: DataFrame) -> DataFrame:

@@ -273,6 +273,15 @@ def query(store: Store, path: str | Path, **options) -> DataFrame:
     return Evaluator(store, Options(**options)).answers(path)
 
 
+def scanned(store: Store, path: str) -> set[str]:
+    """Predicates that the plan of a path reads."""
+    evaluator, out = Evaluator(store), set()
+    real = evaluator.facts
+    evaluator.facts = lambda preds: (out.update(p for _, p in preds), real(preds))[1]
+    evaluator.answers(parse(path))
+    return out
+
+
 def count(store: Store, path: str, **options) -> DataFrame:
     return query(store, path, **options).agg(F.count("*").alias("n"))
 

@@ -37,6 +37,25 @@ def string_value(x: Node) -> str:
     return x.value if x.value is not None else "".join(c.value for c in below(x) if c.value is not None)
 
 
+def whole(x: Node) -> set[Node]:
+    return {n for y in (x, *below(x)) for n in (y, *y.attributes)}
+
+
+def between(x: Node, y: Node) -> set[Node]:
+    """Elements strictly between x and y below it, with their attributes."""
+    out: set[Node] = set()
+    while y.parent is not None and y.parent is not x and y is not x:
+        y = y.parent
+        out |= {y, *y.attributes}
+    return out
+
+
+def tests_of(c) -> list[Test]:
+    if c is None:
+        return []
+    return [c] if isinstance(c, Test) else [t for p in (c.parts if isinstance(c, And | Or) else (c.part,)) for t in tests_of(p)]
+
+
 class Reference:
     def __init__(self, root: Element, value_test: str = "leaf", text_mode: str = "leaf"):
         self.top = Node("document", "", None, (), None)
@@ -93,6 +112,37 @@ class Reference:
             nodes = self.step(nodes, s)
         return nodes
 
+    def witnesses(self, x: Node, condition) -> set[Node]:
+        """What the tests of a condition find from x, whole, and what lies between."""
+        out: set[Node] = set()
+        for t in tests_of(condition):
+            for n in self.walk([x], t.path):
+                if t.op is None or self.compares(n, t):
+                    out |= {*whole(n), *between(x, n)}
+        return out
+
+    def reach(self, x: Node, steps: tuple[Step, ...]) -> set[Node] | None:
+        """The part of x that a path is about, x being a node of its first step; None if it leads to no answer."""
+        if len(steps) == 1:
+            return whole(x) | self.witnesses(x, steps[0].condition)
+        out: set[Node] | None = None
+        for y in self.step([x], steps[1]):
+            part = self.reach(y, steps[1:])
+            if part is not None:
+                out = (out or set()) | part | between(x, y)
+        return None if out is None else out | {x, *x.attributes} | self.witnesses(x, steps[0].condition)
+
+    def subtree(self, path: str) -> list[tuple[str, str, str]]:
+        """(dotted number, tag, kind) of the part of the tree that a path is about: answers whole, what its conditions found, all
+        elements above with their attributes. For paths without parent steps."""
+        found: set[Node] = set()
+        steps = parse(path).steps
+        for x in self.step([self.top], steps[0]):
+            part = self.reach(x, steps)
+            if part is not None:
+                found |= part | between(self.top, x)
+        return sorted((".".join(map(str, n.number)), n.tag, n.kind) for n in found)
+
     def query(self, path: str) -> list[tuple[str, str]]:
         """(dotted number, tag) of the answers, sorted."""
         return sorted((".".join(map(str, n.number)), n.tag) for n in self.walk([self.top], parse(path)))
