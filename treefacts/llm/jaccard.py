@@ -38,9 +38,9 @@ from treefacts.llm import common, graph, textcore
 
 RARE = 32  #: prefixes that a rare token may be in
 HOT_SHARE = 2e-4  #: tokens of more documents than this share (and RARE) come last in the order
-STRETCH = 50  #: one more token of a prefix for so many of the set
+STRETCH = 20  #: one more token of a prefix for so many of the set
 BROADCAST_ROWS = 1_000_000  #: ids that are broadcast at most; more are joined
-SPREAD_ROUNDS = 3
+SPREAD_ROUNDS = 1
 BUCKET_TOKENS, MOST_BUCKETS = 1 << 16, 1 << 17
 LEAST_LOCAL = 4  #: documents of a partition that hold a token before it counts as a possibly frequent one
 KEPT_TOKENS = 1 << 22  #: of a partition that are counted before those met once are dropped
@@ -351,15 +351,20 @@ class Join:
         return one.select("token", "component", "one.id", "one.n")
 
     def remaining(self, rows: DataFrame) -> DataFrame:
-        """All pairs of different components that may link and share a rare token, or a frequent one."""
+        """All pairs of different components that may link and share a rare token, or only frequent ones.
+
+        A pair that shares a rare token is found by it, whatever else it shares; of the others both have frequent tokens
+        enough for all that they share.
+        """
         frequent = rows.where(F.col("holders") > RARE)
         numbers = frequent.groupBy("id").agg(F.count("*").alias("frequent"))
+        enough = frequent.withColumn("frequent", F.count("*").over(Window.partitionBy("id"))).where(F.col("frequent") >= self.rule.least_keys(F.col("n")))
         rare = rows.where(F.col("holders") <= RARE).join(numbers, "id", "left").select("token", "id", "n", "component", F.coalesce("frequent", F.lit(0)).alias("frequent"))
         x, y = rare.alias("x"), rare.alias("y")
         near = x.join(y, F.col("x.token") == F.col("y.token")).where("x.id < y.id and x.component <> y.component").where(self.rule.sizes_fit(F.col("x.n"), F.col("y.n")))
         shared = near.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count("*").alias("shared"), F.first("x.n").alias("na"), F.first("y.n").alias("nb"), F.first(F.least("x.frequent", "y.frequent")).alias("more"))
         by_rare = shared.where(F.col("shared") + F.col("more") >= self.least_shared(F.col("na"), F.col("nb"))).select("a", "b")
-        return by_rare.union(self.by_differences(frequent))
+        return by_rare.union(self.by_differences(enough))
 
     def by_differences(self, frequent: DataFrame) -> DataFrame:
         """Pairs that share frequent tokens, by how their sets differ from a pivot's.
