@@ -26,7 +26,7 @@ SYMBOLS[list(b"#*$%&|<>")] = True
 #: What counts as a character of a token: ASCII letters and digits, and the first byte of each code point beyond ASCII.
 LETTERS = np.zeros(256, bool)
 LETTERS[[*range(48, 58), *range(65, 91), *range(97, 123), *range(0xC0, 256)]] = True
-CACHE_WORDS = 300_000  #: distinct words that a worker keeps encoded
+CACHE_WORDS = 100_000  #: distinct words that a worker keeps encoded
 
 
 @dataclass(frozen=True)

@@ -29,7 +29,7 @@ BITS = 16
 BLOCK_TOKENS = 1 << 21
 FILE_BYTES = 8_000_000  #: of text that a file should hold, until there are MANY_FILES
 MANY_FILES, MOST_BYTES = 4_096, 256_000_000  #: beyond so many files they grow up to MOST_BYTES each
-CACHE_WORDS = 400_000
+CACHE_WORDS = 150_000
 NULL_ID = -(1 << 63)
 #: Texts of these characters are split by a plain pattern, all others by the tokenizer itself.
 LETTERS = "A-Za-zÀ-ÖØ-öø-ÿ"
