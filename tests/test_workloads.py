@@ -87,6 +87,41 @@ def test_files_of_records(spark, tmp_path):
     assert evaluate.query(store, "//row").count() == 50
 
 
+def test_plans_without_tests_that_the_structure_tells(spark, tiny):
+    store = trees.store(spark, tiny, "K1")
+    for path in ("/orders/order[@status and @priority]/*", "/orders/order[item]/orderkey", "/orders/order[not(item)]/orderkey"):
+        assert "Join" not in evaluate.query(store, path)._jdf.queryExecution().optimizedPlan().toString(), path
+    plan = evaluate.query(store, '/orders/order[@status and custkey=85]/total')._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join") == 1 and "@status" not in plan
+
+
+def test_several_appends(spark, tmp_path):
+    texts = ["<r><a>1</a></r>", "<r><b>2</b></r>", "<r><c><d>3</d></c></r>", "<r><a>4</a></r>"]
+    nodes = lambda i: markup.from_xml_text(spark.createDataFrame([(i, texts[i])], "doc_id long, xml string"))
+    path = str(tmp_path / "s")
+    store = Store.from_nodes(nodes(0))
+    store.write(path)
+    for i in (1, 2, 3):
+        store.append(nodes(i), path)
+    every = Store.open(spark, path)
+    assert [(x, [r.value for r in evaluate.query(every, x).orderBy("doc_id").collect()]) for x in ("/r/a", "/r/b", "/r/c/d")] == [("/r/a", ["1", "4"]), ("/r/b", ["2"]), ("/r/c/d", ["3"])]
+    assert len({s.child_typ for s in every.rules.shapes if s.tag == "r"}) == 3  # three structures of one tag
+    # a batch without its rules isn't seen
+    every.facts.write.parquet(f"{path}/facts/batch=9/pred=x")
+    assert Store.open(spark, path).facts.count() == 4
+
+
+def test_facts_are_spread_over_tasks(spark):
+    texts = [(i, "<r><p><q>1</q></p></r>") for i in range(400)]
+    facts = Store.from_nodes(markup.from_xml_text(spark.createDataFrame(texts, "doc_id long, xml string"))).facts
+    from treefacts.functions import keys
+    from treefacts.operators.store import SIBLINGS
+    from pyspark.sql import functions as F
+
+    parts = facts.repartition(32, "pred", "doc_id", keys.cut(F.col("gkey"), 2), F.substring("gkey", 2 * keys.WIDTH + 1, keys.WIDTH - SIBLINGS)).groupBy(F.spark_partition_id()).count().collect()
+    assert len(parts) > 20 and max(r["count"] for r in parts) < 60
+
+
 def test_append_and_exists(spark, tmp_path):
     one, two = ("<r><a>1</a></r>", "<r><b>2</b></r>")
     nodes = lambda i, x: markup.from_xml_text(spark.createDataFrame([(i, x)], "doc_id long, xml string"))

@@ -120,8 +120,12 @@ class Evaluator:
             return [b]
         out = []
         possible = {c for c in b.at.chains if sp.possible(self.rules, c, step.condition)}
-        for d, own in sorted(self.by_depth(possible).items()):
-            found = self.restrict(self.satisfying(step.condition, d, own), "okey", b.held)
+        told = {c for c in possible if sp.certain(self.rules, c, step.condition)} if self.options.engine == "topdown" else set()
+        if told:  # nothing to test
+            out.append(Branch(Context(frozenset(told)), b.held))
+        for d, own in sorted(self.by_depth(possible - told).items()):
+            condition = sp.untold(self.rules, own, step.condition) if self.options.engine == "topdown" else step.condition
+            found = self.restrict(self.satisfying(condition, d, own), "okey", b.held)
             out.append(Branch(Context(frozenset(own)), (d, found)))
         if b.at.preds and isinstance(step.condition, Not):  # leaves have nothing to test
             out.append(Branch(Context(preds=b.at.preds), b.held))

@@ -88,7 +88,7 @@ def type_numbers(shapes: list[Shape], mode: str = "classes") -> list[Shape]:
     """Types by level: children of a shape get its type + n + 1, where n counts the distinct shapes of its tag that came
     earlier on its level. mode unique: a number for each chain instead."""
     if mode == "unique":
-        number = {c: i for i, c in enumerate(sorted((s.chain for s in shapes), key=lambda c: next((x.depth, x.first) for x in shapes if x.chain == c)), 1)}
+        number = {s.chain: i for i, s in enumerate(sorted(shapes, key=lambda s: (s.depth, s.first)), 1)}
         return [replace(s, typ=number[s.chain], child_typ=number[s.chain]) for s in shapes]
     out: list[Shape] = []
     typ_of = {0: 1}
@@ -108,6 +108,25 @@ def type_numbers(shapes: list[Shape], mode: str = "classes") -> list[Shape]:
     return out
 
 
+def added_types(old: list[Shape], new: list[Shape]) -> list[Shape]:
+    """Types of shapes that come to a dictionary later: types given out stay, a new structure gets the next number of its tag
+    and level."""
+    out, typ_of = [], {0: 1} | {s.chain: s.child_typ for s in old}
+    rank = {(s.depth, s.signature): s.child_typ - s.typ - 1 for s in old}
+    following: dict[tuple, int] = defaultdict(int)
+    for (depth, signature), n in rank.items():
+        following[depth, signature[0]] = max(following[depth, signature[0]], n + 1)
+    for s in sorted(new, key=lambda s: (s.depth, s.first)):
+        key = s.depth, s.signature
+        if key not in rank:
+            rank[key] = following[s.depth, s.tag]
+            following[s.depth, s.tag] += 1
+        typ = typ_of[s.parent_chain]
+        typ_of[s.chain] = typ + rank[key] + 1
+        out.append(replace(s, typ=typ, child_typ=typ_of[s.chain]))
+    return out
+
+
 def rules(nodes: DataFrame, mode: str = "classes", max_shapes: int = MAX_SHAPES) -> Rules:
     found = dictionary(nodes).limit(max_shapes + 1).collect()
     if len(found) > max_shapes:

@@ -1,6 +1,10 @@
 """Facts and records of trees, and the store that keeps them.
 
 The first index is the partitioning of facts by predicate; the second is their order by record group inside each file.
+
+A store on disk is a row of batches, each a folder of facts, of records and, written last, of all rules so far. Readers
+take the batches up to the newest rules, so a batch that isn't finished, or was broken off, is not seen; the next append writes
+over it. One writer at a time.
 """
 
 from __future__ import annotations
@@ -10,10 +14,11 @@ from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from treefacts import model
 from treefacts.functions import keys, values
-from treefacts.operators.shapes import Rules, Shape, rules
+from treefacts.operators.shapes import Rules, Shape, added_types, rules
 from treefacts.session import new_folder
 from treefacts.sources.publish import global_rank
 
@@ -40,6 +45,9 @@ def records_of(nodes: DataFrame) -> DataFrame:
     return nodes.where(F.col("kind") == model.INNER).select(*model.RECORDS.names)
 
 
+SIBLINGS = 3  #: hexadecimal digits of a sibling's number that stay together: blocks of 4,096
+
+
 @dataclass
 class Store:
     """Rules are held by the planner; facts and records are tables."""
@@ -55,21 +63,32 @@ class Store:
 
     def write(self, path: str, layout: str = "indexed") -> None:
         """indexed: a folder for each predicate, sorted by group; flat: no index at all."""
+        self._write(path, 0, self.rules, layout)
+
+    def _write(self, path: str, batch: int, every: Rules, layout: str = "indexed") -> None:
+        """Facts and records of this store as a batch, then every rule so far."""
+        folder = lambda name: f"{path}/{name}/batch={batch}"
         if layout == "flat":
-            self.facts.write.parquet(f"{path}/facts")
+            self.facts.write.mode("overwrite").parquet(folder("facts"))
         else:
-            dealt = self.facts.repartition("pred", keys.cut(F.col("gkey"), 2)).sortWithinPartitions("pred", "doc_id", "gkey", "okey")
-            dealt.write.partitionBy("pred").parquet(f"{path}/facts")
-        self.records.sortWithinPartitions("doc_id", "okey").write.parquet(f"{path}/records")
+            # by document, record of the second level and block of records below it, so no document or record is one task's
+            dealt = self.facts.repartition("pred", "doc_id", keys.cut(F.col("gkey"), 2), F.substring("gkey", 2 * keys.WIDTH + 1, keys.WIDTH - SIBLINGS))
+            dealt.sortWithinPartitions("pred", "doc_id", "gkey", "okey").write.mode("overwrite").partitionBy("pred").parquet(folder("facts"))
+        self.records.sortWithinPartitions("doc_id", "okey").write.mode("overwrite").parquet(folder("records"))
         spark = self.facts.sparkSession
-        spark.createDataFrame([(json.dumps([asdict(s) for s in self.rules.shapes]),)], "shapes string").coalesce(1).write.text(f"{path}/rules")
+        spark.createDataFrame([(json.dumps([asdict(s) for s in every.shapes]),)], "shapes string").coalesce(1).write.mode("overwrite").text(folder("rules"))
+
+    @staticmethod
+    def _newest(spark: SparkSession, path: str) -> tuple[int, Rules]:
+        newest = spark.read.text(f"{path}/rules").orderBy(F.desc("batch")).first()
+        shapes = [Shape(**{**x, "child_tags": tuple(x["child_tags"]), "att_names": tuple(x["att_names"]), "first": tuple(x["first"])}) for x in json.loads(newest.value)]
+        return newest.batch, Rules(shapes)
 
     @classmethod
     def open(cls, spark: SparkSession, path: str) -> Store:
-        made = json.loads(spark.read.text(f"{path}/rules").first()[0])
-        shapes = [Shape(**{**x, "child_tags": tuple(x["child_tags"]), "att_names": tuple(x["att_names"]), "first": tuple(x["first"])}) for x in made]
-        facts = spark.read.schema(model.FACTS).parquet(f"{path}/facts")
-        return cls(Rules(shapes), facts, spark.read.schema(model.RECORDS).parquet(f"{path}/records"))
+        batch, every = cls._newest(spark, path)
+        table = lambda name, schema: spark.read.schema(T.StructType([*schema.fields, T.StructField("batch", T.IntegerType())])).parquet(f"{path}/{name}").where(F.col("batch") <= batch).select(*schema.names)
+        return cls(every, table("facts", model.FACTS), table("records", model.RECORDS))
 
     def saved(self, name: str = "store", layout: str = "indexed") -> Store:
         """The store after a round trip through the shared folder."""
@@ -78,14 +97,13 @@ class Store:
         self.write(folder, layout)
         return Store.open(spark, folder)
 
-    def append(self, nodes: DataFrame, path: str) -> None:
-        """Adds documents to a written store; types of old shapes stay, new shapes are added to the rules."""
-        spark = self.facts.sparkSession
-        merged = {s.chain: s for s in rules(nodes).shapes} | self.rules.by_chain
-        facts = extract(nodes, Rules(list(merged.values())))
-        facts.repartition("pred", keys.cut(F.col("gkey"), 2)).sortWithinPartitions("pred", "doc_id", "gkey", "okey").write.mode("append").partitionBy("pred").parquet(f"{path}/facts")
-        records_of(nodes).write.mode("append").parquet(f"{path}/records")
-        spark.createDataFrame([(json.dumps([asdict(s) for s in merged.values()]),)], "shapes string").coalesce(1).write.mode("overwrite").text(f"{path}/rules")
+    @classmethod
+    def append(cls, nodes: DataFrame, path: str) -> None:
+        """Adds documents to a written store as a new batch; types of old shapes stay, new shapes are added to the newest rules."""
+        batch, old = cls._newest(nodes.sparkSession, path)
+        new = [s for s in rules(nodes).shapes if s.chain not in old.by_chain]
+        every = Rules([*old.shapes, *added_types(old.shapes, new)])
+        cls(every, extract(nodes, every), records_of(nodes))._write(path, batch + 1, every)
 
     def stats(self) -> DataFrame:
         """Facts, distinct values (approximate) and extremes of each predicate."""

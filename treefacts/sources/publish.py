@@ -118,7 +118,8 @@ def _emit(level: Level, rows: DataFrame, doc_id: int, out: list[DataFrame]) -> N
         tags = F.concat(tags, F.col(f"_tags{k}"))
         children.append((low, made))
     rows = rows.withColumns({"_child_tags": F.array_sort(F.array_distinct(tags)), "_att_names": F.array_sort(F.map_keys("_atts"))})
-    rows = rows.withColumn("_chain", _chain(F.col("_parent_chain"), F.col("_tag"), F.col("_child_tags"), F.col("_att_names")))
+    # a level is worked out once: its nodes, its leaves, the level below and all passes over the nodes read it from here
+    rows = materialise(rows.withColumn("_chain", _chain(F.col("_parent_chain"), F.col("_tag"), F.col("_child_tags"), F.col("_att_names"))), "level")
     out.append(rows.select(F.lit(doc_id).cast("long").alias("doc_id"), F.col("_okey").alias("okey"), F.col("_tag").alias("tag"), F.lit(model.INNER).alias("kind"), F.col("_atts").alias("atts"), F.lit(None).cast("string").alias("value"), F.col("_child_tags").alias("child_tags"), F.col("_att_names").alias("att_names"), F.col("_chain").alias("chain"), F.col("_parent_chain").alias("parent_chain")))
     if level.leaves or level.text is not None:
         parts = rows.select("_okey", "_chain", F.posexplode("_inner").alias("_i", "_part"))
