@@ -43,7 +43,7 @@ BROADCAST_ROWS = 1_000_000  #: ids that are broadcast at most; more are joined
 SPREAD_ROUNDS = 1
 BUCKET_TOKENS, MOST_BUCKETS = 1 << 16, 1 << 17
 LEAST_LOCAL = 4  #: documents of a partition that hold a token before it counts as a possibly frequent one
-KEPT_TOKENS = 1 << 22  #: of a partition that are counted before those met once are dropped
+KEPT_TOKENS = 1 << 20  #: of a partition that are counted before those met once are dropped
 COMPARE_TOKENS = 1 << 19  #: of pairs of sets that are compared at once
 ENTRY = np.dtype([("token", np.int64), ("id", np.int64), ("n", np.int32)])
 WHOLE = ("tinyint", "smallint", "int", "bigint")
@@ -109,13 +109,19 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, rule: Rule) -> DataFrame
         tokens_seen, counts_seen = np.zeros(0, np.uint64), np.zeros(0, np.int64)
 
         def counted(least: int) -> tuple[np.ndarray, np.ndarray]:
-            every = np.concatenate([tokens_seen, *seen])
-            weights = np.concatenate([counts_seen, np.ones(len(every) - len(tokens_seen), np.int64)])
+            every = np.concatenate([np.zeros(0, np.uint64), *seen])
+            seen.clear()
+            every.sort()
+            first = np.flatnonzero(np.concatenate((every[:1] == every[:1], every[1:] != every[:-1])))
+            sums = np.diff(np.append(first, len(every)))
+            every = every[first]
+            old = np.searchsorted(every, tokens_seen)
+            there = is_in(every, tokens_seen)
+            sums[old[there]] += counts_seen[there]
+            good = sums >= least
+            every, sums = np.concatenate((every[good], tokens_seen[~there])), np.concatenate((sums[good], counts_seen[~there]))
             order = np.argsort(every)
-            every, weights = every[order], weights[order]
-            first = np.flatnonzero(np.concatenate(([True], every[1:] != every[:-1]))) if len(every) else np.zeros(0, np.int64)
-            sums = np.add.reduceat(weights, first) if len(first) else weights
-            return every[first][sums >= least], sums[sums >= least]
+            return every[order][sums[order] >= least], sums[order][sums[order] >= least]
 
         for batch in batches:
             kind = batch.column(0).type
@@ -131,7 +137,7 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, rule: Rule) -> DataFrame
                 seen.append(tokens)
                 n_docs, n_seen = n_docs + block.n, n_seen + len(seen[-1])
                 if n_seen > KEPT_TOKENS:
-                    (tokens_seen, counts_seen), seen, n_seen = counted(2), [], 0
+                    (tokens_seen, counts_seen), n_seen = counted(2), 0
                 none = pa.nulls(block.n, pa.list_(pa.int64()))
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(block.first, block.n), pa.array(n), pa.array(sums[0]), pa.array(sums[1]), none, none], names=names)
         often, often_n = counted(max(LEAST_LOCAL, int(HOT_SHARE * n_docs)))

@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-BLOCK_BYTES = 1 << 20  #: texts are worked on in blocks of about so many bytes, never cut inside a text
+BLOCK_BYTES = 1 << 18  #: texts are worked on in blocks of about so many bytes, never cut inside a text
 U = np.uint64
 WHITE = np.zeros(256, bool)
 WHITE[[0x20, *range(0x09, 0x0E)]] = True
@@ -104,6 +104,7 @@ def blocks(texts: pa.Array, limit: int = BLOCK_BYTES) -> Iterator[Block]:
         j = min(j, len(texts))
         yield Block(i, data[ends[i] : ends[j]], ends[i : j + 1] - ends[i])
         i = j
+    pa.default_memory_pool().release_unused()  # or the worker keeps what its largest batch took
 
 
 def shingles(block: Block, k: int) -> tuple[np.ndarray, np.ndarray]:
