@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from treefacts.llm import common, graph, textcore
 
-RARE = 32  #: prefixes that a rare token may be in
+RARE = 12  #: prefixes that a rare token may be in
 HOT_SHARE = 2e-4  #: tokens of more documents than this share (and RARE) come last in the order
 STRETCH = 20  #: one more token of a prefix for so many of the set
 BROADCAST_ROWS = 1_000_000  #: ids that are broadcast at most; more are joined
