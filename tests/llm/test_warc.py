@@ -43,3 +43,18 @@ def test_missing_segment_is_an_error(spark):
 
 def test_no_pages(spark):
     assert warc.round_trip(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
+def test_query_equals_its_sql(spark, tiny):
+    import duckdb
+
+    from treefacts.llm import queries
+
+    db = duckdb.connect()
+    db.execute(f"create view pages as select * from '{tiny}/pages.parquet'")
+    found = db.execute(queries.WARC_SQL)
+    names = [d[0] for d in found.description]
+    want = sorted(tuple(row[names.index(c)] for c in sorted(names)) for row in found.fetchall())
+    df = queries.op4_warc(spark, tiny)
+    assert sorted(df.columns) == sorted(names)
+    assert sorted((tuple(r[c] for c in sorted(names)) for r in df.collect()), key=str) == sorted(want, key=str)

@@ -77,5 +77,11 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     }
 
 
+WARC_SQL = f"""with p as (select page_id, cast(strlen(coalesce(html, '')) as bigint) as payload_bytes, sha256(coalesce(html, '')) as payload_digest from pages),
+f as (select payload_digest, min(page_id) as first_id from p where payload_bytes >= {warc.LEAST_BYTES} group by 1),
+r as (select p.*, case when payload_bytes >= {warc.LEAST_BYTES} and page_id > first_id then first_id end as refers_to from p left join f on p.payload_digest = f.payload_digest)
+select page_id, payload_bytes, payload_digest, case when refers_to is null then 'response' else 'revisit' end as record_type, refers_to from r"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_warc": WARC_SQL}
