@@ -31,7 +31,7 @@ from pyspark.sql import types as T
 
 from treefacts.llm import common
 
-TRAIN_ROWS = 20_000
+TRAIN_ROWS = 8_000
 CALIBRATION = 2_000  #: examples that scores are calibrated on at most, the first by hash
 NEAREST = 15
 BLOCK = 64
