@@ -78,3 +78,36 @@ def test_passages_at_every_offset():
             edited[6 + 12 * k] = ("", "z", edited[6 + 12 * k] + "z")[(s + k) % 3]  # deleted, replaced, one more
         assert 0 < found("".join(edited))[1] <= 8
         assert 1 not in found(item[s : s + 80])
+
+
+def test_few_shared_grams_at_once(monkeypatch):
+    """Tiles, however small, find the same pairs and edits."""
+    rng = random.Random(11)
+    items = ["".join(rng.choice("ab") for _ in range(n)) for n in (600, 40, 500, 120)] + ["a" * 450]
+    texts = ["".join(rng.choice("ab") for _ in range(700)), "b" * 30 + items[0][300:420] + items[2][5:200], "a" * 900, "", items[1] * 4]
+    for k in (20, 60, 100):
+        texts.append(items[0][300 : 300 + k] + "c" + items[0][301 + k : 500])
+    raw = [np.frombuffer(t.encode(), np.uint8) for t in texts]
+    places = np.cumsum([0, *(len(x) for x in raw)])
+    index = decontaminate.Index(list(enumerate(items)))
+
+    def found():
+        return [r[:3] for r in index.matches(*decontaminate.normal(np.concatenate(raw), places))]
+
+    want = found()
+    assert {(1, 0), (1, 2), (2, 4), (4, 1), (5, 0), (6, 0), (7, 0)} <= {r[:2] for r in want}
+    monkeypatch.setattr(decontaminate, "HITS", 10_000)
+    assert found() == want
+
+
+def test_long_text_of_one_letter():
+    import tracemalloc
+
+    raw = np.full(100_000, ord("a"), np.uint8)
+    index = decontaminate.Index([(1, "a" * 400), (2, "ab" * 200)])
+    tracemalloc.start()
+    rows = index.matches(raw, np.array([0, len(raw)]))
+    _, most = tracemalloc.get_traced_memory()
+    tracemalloc.stop()
+    assert [r[:3] for r in rows] == [(0, 1, 0)]
+    assert most < 1_000_000_000

@@ -6,7 +6,8 @@ edits; then they share at least w - q + 1 - q e q-grams, on 2 e + 1 neighbouring
 and whole items are taken in bands of twice as many diagonals that overlap by half, so one band has them all. Windows are
 never listed: places of shared q-grams give those that reach the bound, and an edit breaks q-grams of at most q places
 in a row, which drops more. A run of shared q-grams as long as a window is an exact copy; what is left is verified by
-alignments inside the band, many windows at once.
+alignments inside the band, many windows at once. Shared q-grams are held HITS at a time, however often texts and items
+repeat themselves (see Index.tiles).
 
 The items are broadcast in parts of at most PART_BYTES; more parts mean more passes over the texts. Null or empty texts
 and items match nothing, nor do items of fewer than q characters. Repeated rows match each on its own.
@@ -29,6 +30,7 @@ RATE = 0.08
 PART_BYTES = 8_000_000
 FILTER_BITS = 22
 BATCH = 2048
+HITS = 1 << 21  #: places of texts with places of items that share a q-gram, held at once
 SPACE = np.uint8(32)
 
 
@@ -104,6 +106,7 @@ class Index:
         self.grams, first, counts = np.unique(prints[order], return_index=True, return_counts=True)
         self.first, self.counts = first, counts
         self.owner, self.place = owner[order], (at - self.offsets[owner])[order]
+        self.posted = np.repeat(np.arange(len(self.grams)), counts) * (len(self.data) + 1) + at[order]
         self.filter = np.zeros(1 << FILTER_BITS, bool)
         self.filter[self.grams >> np.uint64(64 - FILTER_BITS)] = True
         self.band = int(self.budgets.max(initial=0)) * 2 + 1
@@ -140,14 +143,44 @@ class Index:
         some, place = some[good], place[good]
         if not len(some):
             return []
-        counts = self.counts[place]
-        hit = np.repeat(np.arange(len(some)), counts)
-        nth = np.arange(len(hit)) - np.repeat(np.concatenate(([0], np.cumsum(counts)[:-1])), counts)
-        posting = self.first[place][hit] + nth
-        n_items, who, own, place = len(self.item), text[some][hit], self.owner[posting], self.place[posting]
-        diagonal = at[some][hit] - offsets[:-1][who] - place + self.longest  # never negative
-        pair = who * n_items + own
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
+        for a, b, first, counts in self.tiles(at[some], place, len(data)):
+            self.compare(data, offsets, at[some[a:b]], text[some[a:b]], first, counts, best)
+        return [(t, item, *v) for (t, item), v in sorted(best.items(), key=lambda x: (x[0][0], x[0][1] is not None, x[0][1] or 0))]
+
+    def tiles(self, at: np.ndarray, gram: np.ndarray, size: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+        """Ranges of at with, for each place, where its postings begin and how many there are: about HITS in all at most.
+
+        Too many are split by places of the texts, then of the items. The halves overlap by the longest passage or window, so
+        whatever matches is whole in one of them.
+        """
+        stride, over = len(self.data) + 1, int(self.spans.max()) + int(self.budgets.max())
+        stack = [(0, size, 0, len(self.data))]
+        while stack:
+            low, high, item_low, item_high = stack.pop()
+            a, b = np.searchsorted(at, (low, high)).tolist()
+            own = gram[a:b]
+            first, counts = self.first[own], self.counts[own]
+            if item_low or item_high < len(self.data):
+                first = np.searchsorted(self.posted, own * stride + item_low)
+                counts = np.searchsorted(self.posted, own * stride + item_high) - first
+            if counts.sum() <= HITS or max(high - low, item_high - item_low) <= 4 * over:
+                if counts.any():
+                    yield a, b, first, counts
+            elif high - low > 16 * over or item_high - item_low <= 4 * over:
+                middle = (low + high) // 2
+                stack += [(middle, high, item_low, item_high), (low, middle + over, item_low, item_high)]
+            else:
+                middle = (item_low + item_high) // 2
+                stack += [(low, high, middle, item_high), (low, high, item_low, middle + over)]
+
+    def compare(self, data: np.ndarray, offsets: np.ndarray, at: np.ndarray, text: np.ndarray, first: np.ndarray, counts: np.ndarray, best: dict[tuple[int, int], tuple[int, int, int]]) -> None:
+        """Puts the matches of places of texts with their postings into best."""
+        hit = np.repeat(np.arange(len(at)), counts)
+        posting = first[hit] + np.arange(len(hit)) - np.repeat(np.cumsum(counts) - counts, counts)
+        n_items, who, own, place = len(self.item), text[hit], self.owner[posting], self.place[posting]
+        diagonal = at[hit] - offsets[:-1][who] - place + self.longest  # never negative
+        pair = who * n_items + own
         exact = []
         order = np.lexsort((place, diagonal, pair))
         x, d, p = pair[order], diagonal[order], place[order]
@@ -173,7 +206,6 @@ class Index:
                     key, length = (int(t[k]), self.item[o[k]]), int(offsets[t[k] + 1] - offsets[t[k]])
                     if key not in best or edits[k] < best[key][0]:
                         best[key] = (int(edits[k]), max(0, int(low[k]) - e), min(length, int(low[k]) + wide + size + e))
-        return [(t, item, *v) for (t, item), v in sorted(best.items(), key=lambda x: (x[0][0], x[0][1] is not None, x[0][1] or 0))]
 
     def candidates(self, pair: np.ndarray, band: np.ndarray, place: np.ndarray) -> Iterator[tuple[np.ndarray, ...]]:
         """Text, item, first place and band of windows that may be within the budget, in groups of one length."""
