@@ -51,3 +51,12 @@ def test_bands_reject_other_scripts_of_bytes(spark):
     df = spark.createDataFrame([(1, " ".join(["𐎠𐎡𐎢𐎣" + chr(0x103A0 + i % 30) for i in range(80)]), None)], "doc_id long, text string, lang string")
     r = quality.measure(df).first()
     assert r.byte_fallback_share > 0.5 and not r.kept
+
+
+def test_many_short_texts_in_one_batch():
+    texts = ["", "alpha", "alpha beta beta"] * 30_000
+    n, n_bytes, entropy = quality.token_measures(texts, quality.encoder(quality.vocabulary_path()))
+    few = quality.token_measures(texts[:3], quality.encoder(quality.vocabulary_path()))
+    for got, want in zip((n, n_bytes, entropy), few, strict=True):
+        assert np.allclose(got.reshape(-1, 3), want)
+    assert quality.token_measures([""], quality.encoder(quality.vocabulary_path()))[0].tolist() == [0]

@@ -168,12 +168,13 @@ def token_measures(texts: list[str], words: PieceWords) -> tuple[np.ndarray, ...
     pieces = [b"".join(map(words.__getitem__, x.split())) for x in texts]
     n = np.array([len(p) // 2 for p in pieces], np.int64)
     ids = np.frombuffer(b"".join(pieces), np.uint16)
-    owner = np.repeat(np.arange(len(texts), dtype=np.uint32), n)
+    wide = np.uint32 if len(texts) <= 1 << 16 else np.uint64
+    owner = np.repeat(np.arange(len(texts), dtype=wide), n)
     n_bytes = np.bincount(owner[words.is_byte[ids]], minlength=len(texts)) if len(ids) else np.zeros(len(texts), np.int64)
-    key = np.sort(owner << np.uint32(16) | ids) if len(texts) <= 65536 else None
+    key = np.sort(owner << wide(16) | ids)
     edges = np.concatenate(([0], np.flatnonzero(key[1:] != key[:-1]) + 1, [len(key)])) if len(key) else np.zeros(1, np.int64)
     counts = np.diff(edges).astype(np.float64)
-    who = key[edges[:-1]] >> np.uint32(16) if len(key) else np.zeros(0, np.uint32)
+    who = (key[edges[:-1]] >> wide(16)).astype(np.int64)
     logs = np.bincount(who, counts * np.log2(np.maximum(counts, 1)), len(texts)) if len(key) else np.zeros(len(texts))
     safe = np.maximum(n, 1)
     return n, n_bytes, np.log2(safe) - logs / safe
