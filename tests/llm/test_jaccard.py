@@ -107,3 +107,46 @@ def test_large_family_of_near_copies(spark):
 def test_ids_that_are_no_numbers(spark):
     df = spark.createDataFrame([("b", "one two three four five six"), ("a", "one two three four five six"), ("c", "other")], "doc_id string, text string")
     assert {r.doc_id: r.component_id for r in jaccard.join(df).collect()} == {"a": "a", "b": "a", "c": "c"}
+
+
+def test_sets_of_pairs_are_held_in_bounded_rounds(spark, monkeypatch):
+    held = []
+    both_sets = jaccard.Join.both_sets
+    monkeypatch.setattr(jaccard, "RARE", 4)
+    monkeypatch.setattr(jaccard, "ROUND_BYTES", 1_000)
+    monkeypatch.setattr(jaccard, "ROUND_SHARE", 1 << 30)
+    monkeypatch.setattr(jaccard, "BROADCAST_ROWS", 3)
+    monkeypatch.setattr(jaccard.Join, "both_sets", lambda self, pairs, a, b: held.append(pairs.count()) or both_sets(self, pairs, a, b))
+    texts = random_texts(7, 90)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard.join(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), words=3, percent=90).collect()}
+    assert got == brute(texts, 3, 90)
+    assert len(held) > 8  # more rounds than there are calls
+
+
+def test_many_ids_without_a_shuffle_of_texts(spark, monkeypatch):
+    monkeypatch.setattr(jaccard, "BROADCAST_ROWS", 100)
+    docs = spark.range(3000).selectExpr("id", "cast(id as string) as text")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        found = jaccard.of_ids(docs, spark.range(0, 3000, 3))
+        got = {r.id for r in found.collect()}
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert set(range(0, 3000, 3)) <= got and len(got) < 1100
+    assert "SortMergeJoin" not in found._jdf.queryExecution().toString()
+
+
+def test_unrelated_sets_of_a_frequent_token_make_no_pairs(spark, monkeypatch):
+    """Documents that share a few frequent tokens and nothing else: no candidates among them, though they all lack what the pivot has."""
+    monkeypatch.setattr(jaccard, "RARE", 4)
+    monkeypatch.setattr(jaccard, "HOT_SHARE", 1.0)  # frequent tokens stand among the others
+    seen = []
+    monkeypatch.setattr(jaccard.Join, "pivots", lambda self, rows, highest: rows.select(rows.id.alias("a"), rows.id.alias("b")).limit(0))
+    by_differences = jaccard.Join.by_differences
+    monkeypatch.setattr(jaccard.Join, "by_differences", lambda self, rows: seen.append(by_differences(self, rows)) or seen[-1])
+    texts = {d: " ".join([f"common{i}" for i in range(42)] + [f"own{d}x{i}" for i in range(60)]) for d in range(40)}
+    texts[40] = texts[39].replace("own39x59", "other")
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard.join(df, words=3, percent=90).collect()}
+    assert got == brute(texts, 3, 90)
+    assert {tuple(r) for r in seen[0].distinct().collect()} <= {(39, 40)}

@@ -28,6 +28,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -39,7 +40,9 @@ from treefacts.llm import common, graph, textcore
 RARE = 12  #: prefixes that a rare token may be in
 HOT_SHARE = 2e-4  #: tokens of more documents than this share (and RARE) come last in the order
 STRETCH = 20  #: one more token of a prefix for so many of the set
-BROADCAST_ROWS = 1_000_000  #: ids that are broadcast at most; more are joined
+BROADCAST_ROWS = 1_000_000  #: ids that are broadcast at most; of more a table of bits is, or they are joined
+FILTER_WORDS = 1 << 20  #: rows of that table, of 64 bits each
+ROUND_BYTES, ROUND_SHARE = 1 << 29, 4  #: sets of pairs that are held at once: so many bytes, or this part of all sets
 SPREAD_ROUNDS = 1
 BUCKET_TOKENS, MOST_BUCKETS = 1 << 16, 1 << 17
 LEAST_LOCAL = 4  #: documents of a partition that hold a token before it counts as a possibly frequent one
@@ -248,9 +251,13 @@ def slices(na: np.ndarray, nb: np.ndarray) -> Iterator[tuple[int, int]]:
 
 
 def of_ids(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows of docs (id, text) whose id is in ids."""
-    few = ids.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    return docs.join(F.broadcast(ids) if few else ids, "id", "left_semi")
+    """Rows of docs (id, text) whose id is in ids, where these are many with a few others; texts are never shuffled."""
+    if ids.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS:
+        return docs.join(F.broadcast(ids), "id", "left_semi")
+    place = F.pmod(F.xxhash64("id"), F.lit(64 * FILTER_WORDS))
+    placed = lambda df: df.withColumns({"_word": F.shiftright(place, 6), "_bit": F.call_function("shiftleft", F.lit(1).cast("long"), place.bitwiseAND(63).cast("int"))})
+    words = placed(ids).groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
+    return placed(docs).join(F.broadcast(words), "_word").where(F.col("_bits").bitwiseAND(F.col("_bit")) != 0).select(*docs.columns)
 
 
 class Join:
@@ -290,6 +297,17 @@ class Join:
         left, right = sets.select(F.col("id").alias(a), F.col("tokens").alias("sa")), sets.select(F.col("id").alias(b), F.col("tokens").alias("sb"))
         return pairs.join(left, a).join(right, b).select(*pairs.columns, "sa", "sb"), sets
 
+    def rounds(self, pairs: DataFrame, a: str = "a", b: str = "b") -> list[DataFrame]:
+        """pairs of ids in parts whose sets take ROUND_BYTES or 1 / ROUND_SHARE of all sets; all pairs of one document, of the end
+        that has more documents, are in one part."""
+        sizes = self.sets.select("rep", "n")
+        of_end = lambda end: sizes.select(F.col("rep").alias(end), F.col("n").alias(f"_n{end}"))
+        found = pairs.join(of_end(a), a).join(of_end(b), b).agg(F.sum(F.col(f"_n{a}") + F.col(f"_n{b}")), F.approx_count_distinct(a), F.approx_count_distinct(b)).first()
+        held = max(ROUND_BYTES, 8 * (self.sets.agg(F.sum("n")).first()[0] or 0) // ROUND_SHARE)
+        n = -(-8 * (found[0] or 0) // held)
+        part = F.pmod(F.xxhash64(a if found[1] > found[2] else b), F.lit(n))
+        return [pairs.where(part == k) for k in range(n)] if n > 1 else [pairs]
+
     def verify(self, pairs: DataFrame) -> DataFrame:
         """Links among pairs (a, b): those whose whole sets are close enough."""
         percent = self.rule.percent
@@ -306,9 +324,18 @@ class Join:
                 yield batch.select([0, 1]).filter(pa.array(np.concatenate(good)))
 
         pairs = common.materialise(pairs.select("a", "b").distinct(), "pairs")
-        joined, sets = self.both_sets(pairs, "a", "b")
-        links = common.materialise(joined.mapInArrow(run, "a long, b long"), "new-links")
-        common.discard(pairs, sets)
+        common.free(self.spark)
+        parts = []
+        for some in self.rounds(pairs):
+            joined, sets = self.both_sets(some, "a", "b")
+            parts.append(common.materialise(joined.mapInArrow(run, "a long, b long"), "new-links"))
+            common.discard(sets)
+            common.free(self.spark)
+        common.discard(pairs)
+        if len(parts) == 1:
+            return parts[0]
+        links = common.materialise(reduce(DataFrame.union, parts), "new-links")
+        common.discard(*parts)
         return links
 
     def add(self, pairs: DataFrame) -> bool:
@@ -380,23 +407,32 @@ class Join:
         in da + db - 2 s. Where s may be 0, both link with the pivot; other pairs share (da + db - D) / 2 of their
         differences, so prefixes of these in the common order meet. Of two sets at least one doesn't link with the pivot.
         Only these prefixes become rows.
+
+        Sets that are far from their pivot all lack the same of its tokens, which says nothing. But what two sets have beside the
+        pivot's tokens differs in at most D, too: a set with more than D such tokens (far) shares some of them with each
+        partner, so it is found by prefixes of these alone.
+
+        Of its frequent tokens a document needs only the first in the order of how many hold them: all but as many as it
+        shares with any partner, less one.
         """
-        pivot = frequent.groupBy("token").agg(F.min("id").alias("pivot"))
-        held = common.materialise(frequent.join(pivot, "token").select("id", "n", "component", "pivot").distinct(), "pivot-pairs")
+        pivot = frequent.groupBy("token").agg(F.min("id").alias("pivot"), F.count("*").alias("held_by"))
+        first = F.row_number().over(Window.partitionBy("id").orderBy("held_by", "token"))
+        chosen = frequent.join(pivot, "token").withColumn("first", first).where(F.col("first") <= F.col("frequent") - self.rule.least_keys(F.col("n")) + 1)
+        held = common.materialise(chosen.select("id", "n", "component", "pivot").distinct(), "pivot-pairs")
         percent, sent = self.rule.percent, self.spark.sparkContext.broadcast(self.hot)
         c = (100 - percent) / (100 + percent)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            names = ["id", "n", "component", "pivot", "inside", "d", "place", "early", "token"]
+            names = ["id", "n", "component", "pivot", "inside", "d", "place", "early", "token", "own", "far"]
             for batch in batches:
                 (sa, na), (sb, nb) = values_of(batch.column(4)), values_of(batch.column(5))
                 ea, eb = np.concatenate(([0], np.cumsum(na))), np.concatenate(([0], np.cumsum(nb)))
                 for i, j in slices(na, nb):
-                    own, theirs = sa[ea[i] : ea[j]], sb[eb[i] : eb[j]]
-                    shared, alone_a, alone_b = shared_counts(own, na[i:j], theirs, nb[i:j])
+                    mine, theirs = sa[ea[i] : ea[j]], sb[eb[i] : eb[j]]
+                    shared, alone_a, alone_b = shared_counts(mine, na[i:j], theirs, nb[i:j])
                     inside = 100 * shared >= percent * (na[i:j] + nb[i:j] - shared)
                     row = np.concatenate((np.repeat(np.arange(j - i), na[i:j])[alone_a], np.repeat(np.arange(j - i), nb[i:j])[alone_b]))
-                    values = np.concatenate((own[alone_a], theirs[alone_b]))
+                    values = np.concatenate((mine[alone_a], theirs[alone_b]))
                     order = np.lexsort((values, is_in(sent.value, values), row))
                     row, values = row[order], values[order]
                     d = np.bincount(row, minlength=j - i)
@@ -404,27 +440,39 @@ class Join:
                     most = np.floor(c * batch.column(1).to_numpy()[i:j] * (1 + 100 / percent) + 1e-6).astype(np.int64)  # D with any partner
                     long = d - np.maximum(1, d - most) + 1
                     short = d - np.maximum(np.maximum(1, d - most), np.ceil(d * (1 - c) / 2 - 1e-6).astype(np.int64)) + 1  # for partners that don't link with the pivot
-                    kept = place <= np.where(inside, short, long)[row]
-                    row, values, place = row[kept], values[kept], place[kept]
-                    own_rows = np.flatnonzero(inside)  # one row of place 0 says that the document links with the pivot
-                    every = np.concatenate((row, own_rows))
-                    rest = len(own_rows)
+                    # what is beside the pivot's tokens: its prefixes are rows of their own
+                    beside = np.concatenate((np.ones(alone_a.sum(), bool), np.zeros(alone_b.sum(), bool)))[order]
+                    e = na[i:j] - shared
+                    far = e > most
+                    row_e, values_e = row[beside], values[beside]
+                    place_e = np.arange(len(row_e)) - (np.cumsum(e) - e)[row_e] + 1
+                    kept_e = place_e <= most[row_e] + 1
+                    kept = (place <= np.where(inside, short, long)[row]) & ~far[row]
+                    linked = np.flatnonzero(inside)  # one row of place 0 says that the document links with the pivot
+                    every = np.concatenate((row[kept], row_e[kept_e], linked))
+                    own = np.repeat([False, True, False], [kept.sum(), kept_e.sum(), len(linked)])
+                    place = np.concatenate((place[kept], place_e[kept_e], np.zeros(len(linked), np.int64)))
+                    token = np.concatenate((values[kept].view(np.int64), values_e[kept_e].view(np.int64), np.zeros(len(linked), np.int64)))
                     first = [x.take(pa.array(every + i)) for x in batch.columns[:4]]
-                    place, token = np.concatenate((place, np.zeros(rest, np.int64))), np.concatenate((values.view(np.int64), np.zeros(rest, np.int64)))
-                    yield pa.RecordBatch.from_arrays([*first, pa.array(inside[every]), pa.array(d[every]), pa.array(place), pa.array(place <= short[every]), pa.array(token)], names=names)
-
-        both, sets = self.both_sets(held, "id", "pivot")
-        found = common.materialise(both.mapInArrow(run, "id long, n long, component long, pivot long, inside boolean, d long, place long, early boolean, token long"), "difference-keys")
-        common.discard(sets, held)
-        common.free(self.spark)
-
-        keyed = found.where("place > 0")
-        x, y = keyed.where("early").alias("x"), keyed.where("not inside").alias("y")
-        near = x.join(y, (F.col("x.pivot") == F.col("y.pivot")) & (F.col("x.token") == F.col("y.token"))).where("x.component <> y.component and (x.inside or (y.early and x.id < y.id))")
+                    yield pa.RecordBatch.from_arrays([*first, pa.array(inside[every]), pa.array(np.where(own, e[every], d[every])), pa.array(place), pa.array(place <= short[every]), pa.array(token), pa.array(own), pa.array(far[every])], names=names)
+
+        parts = []
+        for some in self.rounds(held, "id", "pivot"):
+            both, sets = self.both_sets(some, "id", "pivot")
+            parts.append(common.materialise(both.mapInArrow(run, "id long, n long, component long, pivot long, inside boolean, d long, place long, early boolean, token long, own boolean, far boolean"), "difference-keys"))
+            common.discard(sets)
+            common.free(self.spark)
+        common.discard(held)
+        found = reduce(DataFrame.union, parts)
+
+        same = (F.col("x.pivot") == F.col("y.pivot")) & (F.col("x.token") == F.col("y.token")) & (F.col("x.component") != F.col("y.component"))
+        whole, beside = found.where("place > 0 and not own"), found.where("own")
+        near = whole.where("early").alias("x").join(whole.where("not inside").alias("y"), same).where("x.inside or (y.early and x.id < y.id)")
+        near = near.union(beside.where("far").alias("x").join(beside.alias("y"), same).where("not y.far or x.id < y.id")).toDF(*[f"{side}_{c}" for side in "xy" for c in found.columns])
         # at the first token that they share, what is left behind it bounds all that they share
-        needed = (F.col("x.d") + F.col("y.d") - F.floor(c * (F.col("x.n") + F.col("y.n")) + 1e-6)) / 2
-        near = near.where(F.least(F.col("x.d") - F.col("x.place"), F.col("y.d") - F.col("y.place")) + 1 >= needed - 1e-6)
-        near = near.where(self.rule.sizes_fit(F.col("x.n"), F.col("y.n"))).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b"))
+        needed = (F.col("x_d") + F.col("y_d") - F.floor(c * (F.col("x_n") + F.col("y_n")) + 1e-6)) / 2
+        near = near.where(F.least(F.col("x_d") - F.col("x_place"), F.col("y_d") - F.col("y_place")) + 1 >= needed - 1e-6)
+        near = near.where(self.rule.sizes_fit(F.col("x_n"), F.col("y_n"))).select(F.least("x_id", "y_id").alias("a"), F.greatest("x_id", "y_id").alias("b"))
         linked = found.where("place = 0 and id <> pivot").select(F.least("id", "pivot").alias("a"), F.greatest("id", "pivot").alias("b"))
         return near.union(linked)
 
