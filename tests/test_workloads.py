@@ -144,3 +144,12 @@ def test_derivation_rows_are_not_capped(spark, tiny):
     assert evaluate.derivations(store, "/r/v").count() == 1200
     assert evaluate.derivations(store, "/r/v", limit=7).count() == 7
     assert "Limit" not in workloads.QUERIES["w22_derivation_rows"](spark, tiny)._jdf.queryExecution().toString()
+
+
+def test_titles_equal_sql(spark, tmp_path):
+    html = ["<title>Say &quot;a</title><p>x</p>", "<html><head><title> two words </title></head><svg><title>inner</title></svg></html>", "<p>none</p>", None, "<html><title></title></html>", "<html><title>a &amp; b</title></html>"]
+    spark.createDataFrame(list(enumerate(html)), "page_id long, html string").write.parquet(str(tmp_path / "pages.parquet"))
+    con = duckdb.connect()
+    con.execute(f"create view pages as select * from '{tmp_path}/pages.parquet/*.parquet'")
+    want = con.execute(workloads.SQL["page_titles"]).fetchall()
+    assert sorted(tuple(r) for r in workloads.QUERIES["page_titles"](spark, str(tmp_path)).select("doc_id", "title").collect()) == sorted(want) == [(1, "two words")]
