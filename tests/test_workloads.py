@@ -153,3 +153,20 @@ def test_titles_equal_sql(spark, tmp_path):
     con.execute(f"create view pages as select * from '{tmp_path}/pages.parquet/*.parquet'")
     want = con.execute(workloads.SQL["page_titles"]).fetchall()
     assert sorted(tuple(r) for r in workloads.QUERIES["page_titles"](spark, str(tmp_path)).select("doc_id", "title").collect()) == sorted(want) == [(1, "two words")]
+
+
+@pytest.mark.parametrize("name", ["m_types", "m_goals", "m_rule_plan", "m_existence_form", "m_unify"])
+def test_methods_read_a_table(spark, tiny, db, monkeypatch, name):
+    """Also when the session has translated it before."""
+    if name == "m_unify":
+        assert workloads.QUERIES[name](spark, tiny).inputFiles()
+    else:
+        monkeypatch.setattr(trees, "store", None)
+    got = [r.asDict() for r in workloads.QUERIES[name](spark, tiny).collect()]
+    assert got
+    if name in workloads.SQL:
+        found = db.execute(workloads.SQL[name])
+        names = [c[0] for c in found.description]
+        want = [dict(zip(names, row, strict=True)) for row in found.fetchall()]
+        shown_rows = lambda rows: sorted(tuple((k, shown(v)) for k, v in sorted(r.items())) for r in rows)
+        assert shown_rows(got) == shown_rows(want)
