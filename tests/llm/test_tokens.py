@@ -72,3 +72,12 @@ def test_odd_rows(odd, none):
     assert [r.n_tokens for r in rows if r.doc_id in (3, 4, 9)] == [1, 1, 1]
     assert tokens.round_trip(none, [F.col("doc_id")]).count() == 0
     assert common.shared_dir(odd.sparkSession)
+
+
+def test_words_are_split_first():
+    """Most pieces are words: no other alternative is tried before them, and the pieces are those of any order."""
+    assert tokens.PIECES.pattern.startswith(f" ?[{tokens.LETTERS}]+|")
+    text = "It's 'd we'll 'they 'sound ''t don't 12's  'm\n\n'Ünï've (re)'re "
+    assert "".join(tokens.PIECES.findall(text)) == text
+    made = tokens.encoder(tokens.tokenizer_path())
+    assert made.encode(text) == made.whole(text)
