@@ -170,3 +170,14 @@ def test_methods_read_a_table(spark, tiny, db, monkeypatch, name):
         want = [dict(zip(names, row, strict=True)) for row in found.fetchall()]
         shown_rows = lambda rows: sorted(tuple((k, shown(v)) for k, v in sorted(r.items())) for r in rows)
         assert shown_rows(got) == shown_rows(want)
+
+
+def test_written_levels_hold_no_column_of_the_table_twice(spark, tiny, monkeypatch):
+    from treefacts.sources import publish
+
+    seen, materialise = [], publish.materialise
+    monkeypatch.setattr(publish, "materialise", lambda df, name="table": seen.append((name, df.columns)) or materialise(df, name))
+    trees.orders_tree(spark, tiny)
+    assert [name for name, _ in seen] == ["ranked", "level", "level"]
+    assert not [c for name, columns in seen for c in columns if name == "level" and c[:2] in ("o_", "l_") and c != "o_orderkey"]
+    assert "_inner" not in seen[0][1]
