@@ -1,12 +1,14 @@
+import itertools
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from treefacts.llm import common, tokens, wavelet
+from treefacts.llm import common, pieces, tokens, wavelet
 
 
 @settings(max_examples=40, deadline=None)
@@ -81,3 +83,49 @@ def test_words_are_split_first():
     assert "".join(tokens.PIECES.findall(text)) == text
     made = tokens.encoder(tokens.tokenizer_path())
     assert made.encode(text) == made.whole(text)
+
+
+def test_pieces_met_before_are_not_encoded_again():
+    """A worker meets about 500,000 different pieces in 40 MB of text: they have to be known when they come again."""
+    made, calls = tokens.Pieces(tokens.tokenizer_path()), []
+    merge = made.merge
+    made.merge = lambda piece: calls.append(piece) or merge(piece)
+    text = " ".join(map("".join, itertools.islice(itertools.product("abcdefghijklmnopqrstuvwxyz", repeat=4), 160_000)))
+    assert made.encode(text) == made.encode(text)
+    assert len(calls) == len(set(calls))
+
+
+PLAIN_TEXTS = st.lists(st.text("aZéß7½ \t\n'stmdrevl.,–€×÷", max_size=40) | st.sampled_from(["'ll", " 's", "\n're 've", "''d", "x" * 80, " " * 30, "abcdefghijklmnop qrstuvwxyzabcdefgh"]), min_size=1, max_size=8)
+
+
+@settings(max_examples=300, deadline=None)
+@given(PLAIN_TEXTS)
+def test_split_finds_the_pieces_of_the_pattern(texts):
+    texts = [t.replace("½", "") for t in texts]
+    raw = "".join(t + chr(pieces.MARK) for t in texts).encode()
+    begins = [*pieces.split(raw).tolist(), len(raw)]
+    assert [raw[a:b].decode() for a, b in itertools.pairwise(begins)] == [p for t in texts for p in [*tokens.PIECES.findall(t), chr(pieces.MARK)]]
+
+
+@settings(max_examples=150, deadline=None)
+@given(PLAIN_TEXTS)
+def test_texts_encoded_together_with_little_memory(texts):
+    """Slices of four pieces, a table that is cleared all the time, plain texts and others."""
+    made = tokens.Pieces.__new__(tokens.Pieces)
+    made.__dict__ |= tokens.encoder(tokens.tokenizer_path()).__dict__
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(pieces, "SLICE", 4)
+        patch.setattr(pieces, "MOST", 16)
+        patch.setattr(pieces, "MOST_LONG", 2)
+        made.memory = pieces.Memory(made.of_pieces, tokens.END_ID)
+        for _ in range(2):
+            ids, counts = made.encode_all(texts)
+            assert ids.tolist() == [i for t in texts for i in [*made.tokenizer.encode(t, add_special_tokens=False).ids, tokens.END_ID]]
+            assert counts.sum() == len(ids) and len(counts) == len(texts)
+
+
+def test_texts_are_taken_some_at_a_time(monkeypatch):
+    monkeypatch.setattr(tokens, "CHUNK_CHARS", 5)
+    found = list(tokens.some_texts(pa.array(["abc", None, "de", "", "abcdefgh", "x"])))
+    assert found == [(0, ["abc", "", "de"]), (3, ["", "abcdefgh"]), (5, ["x"])]
+    assert not list(tokens.some_texts(pa.array([], pa.string())))

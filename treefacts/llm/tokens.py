@@ -14,24 +14,25 @@ from __future__ import annotations
 import os
 import re
 import zlib
-from array import array
 from collections.abc import Iterator
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from treefacts.llm import common, wavelet
+from treefacts.llm import common, pieces, wavelet
 
 END_ID = 2
 BITS = 16
 BLOCK_TOKENS = 1 << 21
 FILE_BYTES = 8_000_000  #: of text that a file should hold, until there are MANY_FILES
 MANY_FILES, MOST_BYTES = 4_096, 256_000_000  #: beyond so many files they grow up to MOST_BYTES each
-CACHE_WORDS = 150_000
+CHUNK_CHARS = 1 << 18  #: characters of texts that are encoded together, whole texts
 NULL_ID = -(1 << 63)
 #: Texts of these characters are split by a plain pattern, all others by the tokenizer itself. Words are tried first: nothing else begins as they do.
+#: PIECES says what a piece is; pieces.split() finds the same in many texts at once.
 LETTERS = "A-Za-zÀ-ÖØ-öø-ÿ"
 PLAIN = re.compile("[\t\n\r\x0b\x0c -~¡-©«-±´¶-¸»¿-ÿ–-„•…€]*")
 PIECES = re.compile(f" ?[{LETTERS}]+| ?[0-9]+|'s|'t|'re|'ve|'m|'ll|'d| ?[^\\s{LETTERS}0-9]+|\\s+(?!\\S)|\\s+")
@@ -43,18 +44,19 @@ def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
-def byte_letters() -> dict[int, int]:
+def byte_letters() -> np.ndarray:
     """The letter by which a byte-level vocabulary writes each byte: printable ones themselves, the others from U+0100 on."""
     printable = [b for b in range(256) if 0x21 <= b <= 0x7E or 0xA1 <= b <= 0xAC or 0xAE <= b]
     others = [b for b in range(256) if b not in printable]
-    return {b: b for b in printable} | {b: 0x100 + i for i, b in enumerate(others)}
+    letters = {b: b for b in printable} | {b: 0x100 + i for i, b in enumerate(others)}
+    return np.array([letters[b] for b in range(256)], "<u2")
 
 
-class Pieces(dict):
-    """Ids (uint16 bytes) of pieces of text, encoded by the tokenizer when first met.
+class Pieces:
+    """Ids (uint16) of texts, by pieces that the tokenizer encodes when they are first met.
 
     A byte-level tokenizer splits a text before it merges, and merges inside each piece only: the ids of a text are
-    those of its pieces in turn. At most CACHE_WORDS pieces are kept.
+    those of its pieces in turn. A bounded number of pieces is kept.
     """
 
     def __init__(self, path: str):
@@ -66,25 +68,34 @@ class Pieces(dict):
         self.merge, self.letters = self.tokenizer.model.tokenize, byte_letters()
         if self.tokenizer.get_vocab_size() > 1 << 16:
             raise ValueError("ids of over 16 bits")
+        self.memory = pieces.Memory(self.of_pieces, END_ID)
+
+    def of_pieces(self, some: list[bytes]) -> list[list[int]]:
+        written = self.letters[np.frombuffer(b"".join(some), np.uint8)].tobytes().decode("utf-16-le")
+        ends = accumulate(map(len, some))
+        return [[t.id for t in self.merge(written[end - len(piece) : end])] for piece, end in zip(some, ends, strict=True)]
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint16).tobytes()
 
-    def __missing__(self, piece: str) -> bytes:
-        if len(self) >= CACHE_WORDS:
-            self.clear()
-        written = piece.encode().decode("latin-1").translate(self.letters)
-        ids = array("H", [t.id for t in self.merge(written)]).tobytes()
-        if len(piece) < 64:
-            self[piece] = ids
-        return ids
+    def plain(self, text: str) -> bool:
+        return PLAIN.fullmatch(text) is not None and not any(x in text for x in self.special)
+
+    def encode_all(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of some texts, one after the other and each with its end id, and how many each has."""
+        other = [i for i, text in enumerate(texts) if not self.plain(text)]
+        left_out = set(other)
+        mark = chr(pieces.MARK)
+        ids, counts = self.memory.encode((mark.join("" if i in left_out else t for i, t in enumerate(texts)) + mark).encode())
+        if other:
+            found = [np.frombuffer(self.whole(texts[i]), np.uint16) for i in other]
+            sizes = np.array([len(x) for x in found])
+            ids = np.insert(ids, np.repeat((np.cumsum(counts) - counts)[other], sizes), np.concatenate(found))
+            counts[other] += sizes
+        return ids, counts
 
     def encode(self, text: str) -> bytes:
-        if not text:
-            return b""
-        if PLAIN.fullmatch(text) and not any(x in text for x in self.special):
-            return b"".join(map(self.__getitem__, PIECES.findall(text)))
-        return self.whole(text)
+        return self.encode_all([text])[0][:-1].tobytes()
 
 
 def files_for(n_bytes: int) -> int:
@@ -101,29 +112,43 @@ def encoder(path: str) -> Pieces:
     return _encoders[path]
 
 
+def some_texts(column: pa.Array) -> Iterator[tuple[int, list[str]]]:
+    """The texts (null as empty) of a column, some characters at a time, and the row of the first."""
+    first, texts, size = 0, [], 0
+    for text in column:
+        texts.append(text.as_py() or "")
+        size += len(texts[-1])
+        if size >= CHUNK_CHARS:
+            yield first, texts
+            first, texts, size = first + len(texts), [], 0
+    if texts:
+        yield first, texts
+
+
 def write(docs: DataFrame, folder: str, order: list[Column], id_col: str = "doc_id", text_col: str = "text", path: str | None = None, n_files: int | None = None) -> None:
     """Writes the token files of docs, documents in the given order over the files by name and inside each."""
     path = path or tokenizer_path()
-    end = np.uint16(END_ID).tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = encoder(path).encode
+        encode = encoder(path).encode_all
         ids, counts, parts, total = [], [], [], 0
 
         def block() -> pa.RecordBatch:
-            raw = wavelet.to_bytes(np.array(ids, np.int64), np.array(counts, np.int64), np.frombuffer(b"".join(parts), np.uint16), BITS)
+            raw = wavelet.to_bytes(np.array(ids, np.int64), np.array(counts, np.int64), np.concatenate(parts), BITS)
             return pa.RecordBatch.from_arrays([pa.array([raw[:-1]], pa.binary())], names=["value"])  # the sink adds the line feed
 
         for batch in batches:
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                own = encode(text.as_py() or "") + end
-                if ids and total + len(own) // 2 > BLOCK_TOKENS:
-                    yield block()
-                    ids, counts, parts, total = [], [], [], 0
-                ids.append(NULL_ID if doc is None else doc)
-                counts.append(len(own) // 2)
-                parts.append(own)
-                total += len(own) // 2
+            for first, texts in some_texts(batch.column(1)):
+                flat, sizes = encode(texts)
+                ends = np.cumsum(sizes).tolist()
+                for doc, end, size in zip(batch.column(0).slice(first, len(texts)).to_pylist(), ends, sizes.tolist(), strict=True):
+                    if ids and total + size > BLOCK_TOKENS:
+                        yield block()
+                        ids, counts, parts, total = [], [], [], 0
+                    ids.append(NULL_ID if doc is None else doc)
+                    counts.append(size)
+                    parts.append(flat[end - size : end])
+                    total += size
         if ids:
             yield block()
 
