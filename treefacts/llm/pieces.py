@@ -13,8 +13,8 @@ import numpy as np
 
 MARK = 1  #: the byte that ends each text; no text of plain characters holds it
 KEY_BYTES = 16
-SLICE = 1 << 16  #: pieces looked up at a time
-MOST = 1 << 20  #: pieces that are remembered, at about 36 bytes each
+SLICE = 1 << 15  #: pieces looked up at a time
+MOST = 1 << 19  #: pieces that are remembered, at about 36 bytes each
 LONG_BYTES, MOST_LONG = 64, 1 << 14
 U = np.uint64
 LETTER, DIGIT, OTHER, SPACE, END = range(5)
@@ -62,6 +62,12 @@ def split(raw: bytes) -> np.ndarray:
     return np.flatnonzero(begins)
 
 
+def grown(old: np.ndarray, size: int) -> np.ndarray:
+    new = np.zeros(size, old.dtype)
+    new[: len(old)] = old
+    return new
+
+
 class Memory:
     """Ids of pieces, asked for once. make: the ids of each of some pieces, from their bytes."""
 
@@ -104,10 +110,10 @@ class Memory:
         n = self.n + len(ids)
         if n > len(self.low):
             size = max(2 * len(self.low), 1 << n.bit_length())
-            grown = [np.zeros(size, np.uint64), np.zeros(size, np.uint64), np.zeros(size + 1, np.int32)]
-            for new, old in zip(grown, (self.low, self.high, self.first), strict=True):
-                new[: len(old)] = old
-            self.low, self.high, self.first = grown
+            self.low = grown(self.low, size)
+            self.high = grown(self.high, size)
+            self.first = grown(self.first, size + 1)
+            self.slots = None  # given back before the larger one is made
             self.slots, self.bits = np.zeros(2 * size, np.int32), (2 * size).bit_length() - 1
             self.place(np.arange(1, self.n, dtype=np.int32))
         self.low[self.n : n], self.high[self.n : n] = low, high

@@ -29,7 +29,7 @@ BITS = 16
 BLOCK_TOKENS = 1 << 21
 FILE_BYTES = 8_000_000  #: of text that a file should hold, until there are MANY_FILES
 MANY_FILES, MOST_BYTES = 4_096, 256_000_000  #: beyond so many files they grow up to MOST_BYTES each
-CHUNK_CHARS = 1 << 18  #: characters of texts that are encoded together, whole texts
+CHUNK_CHARS = 1 << 17  #: characters of texts that are encoded together, whole texts
 NULL_ID = -(1 << 63)
 #: Texts of these characters are split by a plain pattern, all others by the tokenizer itself. Words are tried first: nothing else begins as they do.
 #: PIECES says what a piece is; pieces.split() finds the same in many texts at once.
